@@ -192,25 +192,28 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
         lead = live.groupBy("bucket").agg(F.min_by("id", order).alias("lead"))
         return live.join(lead, "bucket").filter("id <> lead").select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")).distinct()
 
-    links, named, live = None, None, rows
+    def joined_up(named: DataFrame | None, new: DataFrame) -> DataFrame:
+        edges = new.select(F.col("a").alias("src"), F.col("b").alias("dst"))
+        return cut(components(edges if named is None else edges.unionByName(named.select(F.col("node").alias("src"), F.col("component").alias("dst")))))
+
+    named, live, open_before = None, rows, None
     for turn in range(most_rounds):
-        new = confirmed(likely(leaders(live, turn)), texts, percent, words)
-        links = cut(new if links is None else links.unionByName(new).distinct())
-        named = cut(components(links.select(F.col("a").alias("src"), F.col("b").alias("dst"))))
+        named = joined_up(named, confirmed(likely(leaders(live, turn)), texts, percent, words))
         marked = rows.join(named, rows["id"] == named["node"], "left").select("bucket", "id", F.coalesce("component", "id").alias("c"))
         open_ = marked.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi").select("bucket")
         live = cut(marked.join(open_, "bucket"))
-        if turn + 1 < leader_rounds:
-            continue
-        # What is left costs, for each bucket, the pairs of members in different components.
-        by = live.groupBy("bucket", "c").count().groupBy("bucket").agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("same"))
-        left, members = by.agg(F.coalesce(F.sum((F.col("n") * F.col("n") - F.col("same")) / 2), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
-        if left <= 4 * members:
+        # Leaders are worth another round while they settle a tenth of what is open.
+        open_now = live.count()
+        if turn + 1 >= leader_rounds and open_before is not None and open_now > 0.9 * open_before or not open_now:
             break
-    x, y = live.alias("x"), live.alias("y")
-    rest = x.join(y, F.col("x.bucket") == F.col("y.bucket")).filter("x.id < y.id and x.c <> y.c").select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct()
-    links = cut(links.unionByName(confirmed(likely(rest), texts, percent, words)))
-    named = components(links.select(F.col("a").alias("src"), F.col("b").alias("dst")))
+        open_before = open_now
+    # The rest: all members of a bucket in different components, held against their sketches where they meet.
+    known = live.join(few, "id").select("bucket", "id", "c", "n", "sketch")
+    x, y = (known.select("bucket", *[F.col(c).alias(f"{c}_{t}") for c in ("id", "c", "n", "sketch")]) for t in "xy")
+    bits = sum((F.bit_count(F.col("sketch_x")[k].bitwiseXOR(F.col("sketch_y")[k])) for k in range(SKETCH // 64)), F.lit(0))
+    near = (F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")) & (bits <= far)
+    rest = x.join(y, (x["bucket"] == y["bucket"]) & near).select(F.col("id_x").alias("a"), F.col("id_y").alias("b")).distinct()
+    named = joined_up(named, confirmed(rest, texts, percent, words))
     of_set = reps.select("id", "set1", "set2").join(named, F.col("id") == F.col("node"), "left").select("set1", "set2", F.coalesce("component", "id").alias("component_id"))
     some = sig.filter("set1 is not null").select("doc_id", "n_shingles", "set1", "set2").join(of_set, ["set1", "set2"], "left").select("doc_id", "n_shingles", "component_id")
     none = sig.filter("set1 is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
