@@ -18,7 +18,7 @@ IRREGULAR = rf"{_S}{_S}|^{_S}|{_S}$|[\x1f\x{{85}}\x{{A0}}\x{{1680}}\x{{2000}}-\x
 class Encoder:
     """keeps_space: the vocabulary's pieces carry the space before them. most: pieces that are remembered, a bound of memory only."""
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 400_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = 800_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -39,9 +39,11 @@ class Encoder:
             texts = pc.if_else(pa.array(mask), pa.scalar("", pa.large_string()), texts)
         if self.keeps_space:
             texts = pc.replace_substring(pc.replace_substring(texts, " ", "\x1f "), "\n", "\x1f\n\x1f")
-            lists = pc.split_pattern(texts, "\x1f")
+            # A full stop or comma between a letter and white space is a piece of its own in either vocabulary.
+            lists = pc.split_pattern(pc.replace_substring_regex(texts, r"([A-Za-z])([.,])(\x1f|$)", "\\1\x1f\\2\\3"), "\x1f")
         else:
-            lists = pc.split_pattern(pc.replace_substring(texts, "\n", " "), " ")
+            texts = pc.ascii_lower(pc.replace_substring(texts, "\n", " "))
+            lists = pc.split_pattern(pc.replace_substring_regex(texts, r"([a-z])([.,])( |$)", r"\1 \2\3"), " ")
         at = lists.offsets.to_numpy().astype(np.int64)
         coded = lists.values.dictionary_encode()
         codes = coded.indices.to_numpy()
