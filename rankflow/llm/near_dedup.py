@@ -1,13 +1,14 @@
 """MinHash near-dedup with odd sketches.
 
-A document is the set of its distinct word shingles. 128 MinHash samples give 32 bands of 4 for candidates (a pair at
-similarity 0.75 is missed with probability 5e-6) and, folded into a 512-bit parity bitmap, an odd sketch. The population
-count of two sketches' XOR estimates their similarity; pairs estimated under 0.4, six deviations below the threshold,
-are left out, and all others are confirmed on their full shingle sets.
+A document is the set of its distinct word shingles. 128 of 256 MinHash samples give 32 bands of 4 for candidates (a pair at
+similarity 0.75 is missed with probability 5e-6); all of them, folded into a 1024-bit parity bitmap, are an odd sketch. The
+population count of two sketches' XOR estimates their similarity; pairs estimated under 0.55, five deviations below the
+threshold, are left out, and all others are confirmed on their full shingle sets.
 
 Documents with equal sets are one class, so copies never become pairs. Within a bucket, pairs first go to one leader each
-(linear in the bucket), by a different order of leaders each round; members already in one component need no further pair.
-What is still in different components after that is compared in full, so no link between components is lost.
+(linear in the bucket), by a different order of leaders each round, and only where member and leader are in different
+components; rounds end when they settle little. What is still in different components after that is compared in full, each
+pair in the first bucket it shares, so no link between components is lost.
 
 Nulls and texts without words have no shingles and link with nothing. Repeated rows are copies. Null ids are never a
 component's name if another id is there. Empty tables give empty results; further columns are ignored.
@@ -23,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import components, cut
 
-SAMPLES, BANDS, SKETCH = 128, 32, 512
-FLOOR = 0.4
+SAMPLES, BANDED, BANDS, SKETCH = 256, 128, 32, 1024
+FLOOR = 0.55
 _MUL = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -110,7 +111,7 @@ def minhash(shingles: np.ndarray, mul: np.ndarray, add: np.ndarray) -> np.ndarra
 
 
 def odd_sketch(least: np.ndarray) -> np.ndarray:
-    """Parity, for each of 512 places, of the (sample, value) pairs that hash there."""
+    """Parity, for each of SKETCH places, of the (sample, value) pairs that hash there."""
     place = _mix(least.astype(np.uint64) * np.uint64(SAMPLES) + np.arange(SAMPLES, dtype=np.uint64)) & np.uint64(SKETCH - 1)
     return np.packbits((np.bincount(place.astype(np.int64), minlength=SKETCH) & 1).astype(np.uint8)).view("<i8")
 
@@ -137,7 +138,7 @@ def signatures(docs: DataFrame, words: int = 5) -> DataFrame:
                     if len(s):
                         least = minhash(s, mul, add)
                         x = band_no
-                        for col in least.reshape(BANDS, -1).T:
+                        for col in least[:BANDED].reshape(BANDS, -1).T:
                             x = _mix(x * _MUL + col)
                         bands.append(x.view(np.int64))
                         sketches.append(odd_sketch(least))
@@ -171,7 +172,7 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
     sig = cut(signatures(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), words))
     reps = sig.filter("set1 is not null and doc_id is not null").groupBy("set1", "set2", "n_shingles").agg(F.min("doc_id").alias("id"), F.min_by(F.struct("bands", "sketch"), "doc_id").alias("s"))
     reps = cut(reps.select("id", "set1", "set2", F.col("n_shingles").alias("n"), F.col("s.bands").alias("bands"), F.col("s.sketch").alias("sketch")))
-    rows = reps.select("id", F.explode("bands").alias("bucket"))
+    rows = reps.select("id", F.posexplode("bands").alias("band", "bucket"))
     shared = rows.groupBy("bucket").agg(F.count("*").alias("members")).filter("members > 1").select("bucket")
     rows = cut(rows.join(shared, "bucket"))
     few = reps.select("id", "n", "sketch")
@@ -189,30 +190,31 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
 
     def leaders(live: DataFrame, turn: int) -> DataFrame:
         order = F.col("id") if turn == 0 else F.xxhash64("id", F.lit(turn))
-        lead = live.groupBy("bucket").agg(F.min_by("id", order).alias("lead"))
-        return live.join(lead, "bucket").filter("id <> lead").select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")).distinct()
+        lead = live.groupBy("bucket").agg(F.min_by(F.struct(F.col("id").alias("lead"), F.col("c").alias("lead_c")), order).alias("l")).select("bucket", "l.*")
+        return live.join(lead, "bucket").filter("c <> lead_c").select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")).distinct()
 
     def joined_up(named: DataFrame | None, new: DataFrame) -> DataFrame:
         edges = new.select(F.col("a").alias("src"), F.col("b").alias("dst"))
         return cut(components(edges if named is None else edges.unionByName(named.select(F.col("node").alias("src"), F.col("component").alias("dst")))))
 
-    named, live, open_before = None, rows, None
+    named, live, apart_before = None, rows.withColumn("c", F.col("id")), None
     for turn in range(most_rounds):
         named = joined_up(named, confirmed(likely(leaders(live, turn)), texts, percent, words))
-        marked = rows.join(named, rows["id"] == named["node"], "left").select("bucket", "id", F.coalesce("component", "id").alias("c"))
-        open_ = marked.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi").select("bucket")
+        marked = rows.join(named, rows["id"] == named["node"], "left").select("bucket", "band", "id", F.coalesce("component", "id").alias("c"))
+        open_ = marked.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi").select("bucket", "lo")
         live = cut(marked.join(open_, "bucket"))
-        # Leaders are worth another round while they settle a tenth of what is open.
-        open_now = live.count()
-        if turn + 1 >= leader_rounds and open_before is not None and open_now > 0.9 * open_before or not open_now:
+        # Leaders are worth another round while they settle a tenth of the members outside their bucket's first component.
+        apart = live.filter("c <> lo").count()
+        if turn + 1 >= leader_rounds and apart_before is not None and apart > 0.9 * apart_before or not apart:
             break
-        open_before = open_now
+        apart_before = apart
     # The rest: all members of a bucket in different components, held against their sketches where they meet.
-    known = live.join(few, "id").select("bucket", "id", "c", "n", "sketch")
-    x, y = (known.select("bucket", *[F.col(c).alias(f"{c}_{t}") for c in ("id", "c", "n", "sketch")]) for t in "xy")
+    known = live.join(reps.select("id", "n", "bands", "sketch"), "id").select("bucket", "band", "id", "c", "n", "bands", "sketch")
+    x, y = (known.select("bucket", *[F.col(c).alias(f"{c}_{t}") for c in ("band", "id", "c", "n", "bands", "sketch")]) for t in "xy")
     bits = sum((F.bit_count(F.col("sketch_x")[k].bitwiseXOR(F.col("sketch_y")[k])) for k in range(SKETCH // 64)), F.lit(0))
     near = (F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")) & (bits <= far)
-    rest = x.join(y, (x["bucket"] == y["bucket"]) & near).select(F.col("id_x").alias("a"), F.col("id_y").alias("b")).distinct()
+    earlier = F.zip_with(F.slice("bands_x", F.lit(1), F.col("band_x")), F.slice("bands_y", F.lit(1), F.col("band_x")), lambda p, q: p == q)
+    rest = x.join(y, (x["bucket"] == y["bucket"]) & near & ~F.exists(earlier, lambda same: same)).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
     named = joined_up(named, confirmed(rest, texts, percent, words))
     of_set = reps.select("id", "set1", "set2").join(named, F.col("id") == F.col("node"), "left").select("set1", "set2", F.coalesce("component", "id").alias("component_id"))
     some = sig.filter("set1 is not null").select("doc_id", "n_shingles", "set1", "set2").join(of_set, ["set1", "set2"], "left").select("doc_id", "n_shingles", "component_id")
