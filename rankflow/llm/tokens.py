@@ -28,9 +28,20 @@ class Encoder:
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def __call__(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts in a row (uint32), and where each text's begin, with the end (int64). Null: no ids."""
+    def __call__(self, texts: pa.Array, stretch: int = 6 << 20) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row (uint32), and where each text's begin, with the end (int64). Null: no ids.
+
+        Works on stretches of about so many bytes, which bounds the memory beside the ids."""
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
+        part = np.cumsum(pc.binary_length(texts).to_numpy()) // stretch
+        cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(texts)]
+        got = [self._some(texts.slice(a, b - a)) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+        if len(got) == 1:
+            return got[0]
+        sizes = np.concatenate([np.diff(o) for _, o in got])
+        return np.concatenate([i for i, _ in got]), np.concatenate(([0], np.cumsum(sizes)))
+
+    def _some(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         irregular = np.flatnonzero(pc.match_substring_regex(texts, IRREGULAR).to_numpy(zero_copy_only=False))
         odd = {int(k): texts[int(k)].as_py() for k in irregular}
         if odd:
@@ -55,13 +66,13 @@ class Encoder:
                 if len(known) < self.most and len(piece) <= 40:
                     known[piece] = ids
             pool.append(ids)
-        sizes = np.fromiter(map(len, pool), np.int64, len(pool)) >> 2
-        begins = np.cumsum(sizes) - sizes
+        sizes = np.fromiter(map(len, pool), np.int32, len(pool)) >> 2
+        begins = np.cumsum(sizes, dtype=np.int32) - sizes
         pool = np.frombuffer(b"".join(pool), "<u4")
         each = sizes[codes]
-        ends = np.concatenate(([0], np.cumsum(each)))
-        ids = pool[np.repeat(begins[codes] - ends[:-1], each) + np.arange(ends[-1])] if len(codes) else np.zeros(0, "<u4")
-        offsets = ends[at]
+        ends = np.concatenate((np.zeros(1, np.int32), np.cumsum(each, dtype=np.int32)))
+        ids = pool[np.repeat(begins[codes] - ends[:-1], each) + np.arange(ends[-1], dtype=np.int32)] if len(codes) else np.zeros(0, "<u4")
+        offsets = ends[at].astype(np.int64)
         if not odd:
             return ids, offsets
         parts, sizes = [], np.diff(offsets)
