@@ -26,6 +26,7 @@ from .common import components, cut
 
 SAMPLES, BANDED, BANDS, SKETCH = 256, 128, 32, 1024
 FLOOR = 0.55
+LARGE, BLOCK = 64, 256  # components from this size are compared in blocks of about so many documents
 _MUL = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -167,6 +168,47 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> D
     return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
 
 
+def _against_blocks(live: DataFrame, named: DataFrame, sizes: DataFrame, few: DataFrame, texts: DataFrame, percent: int, words: int, far: int) -> DataFrame:
+    """Links (a, b) between documents and large components other than theirs; one link to a block is enough for each."""
+    block = F.pmod(F.xxhash64("id"), F.col("blocks"))
+    there = live.filter("blocks is not null").select("bucket", "c", block.alias("block")).distinct()
+    here = live.select("bucket", F.col("id").alias("x"), F.col("c").alias("own"))
+    meets = here.join(there, "bucket").filter("own <> c").select("x", "c", "block").distinct()
+    chunks = meets.groupBy("c", "block").agg(F.ceil(F.count("*") / BLOCK).alias("chunks"))
+    meets = meets.join(chunks, ["c", "block"]).select("c", "block", F.pmod(F.xxhash64("x"), F.col("chunks")).alias("chunk"), F.col("x").alias("id"))
+    members = named.select(F.col("node").alias("id"), F.col("component").alias("c")).join(sizes, "c").withColumn("blocks", F.ceil(F.col("size") / BLOCK)).select("id", "c", block.alias("block"))
+    members = members.join(chunks, ["c", "block"]).select("c", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).alias("chunk"), "id")
+
+    def with_text(df: DataFrame):
+        # Fresh names, since both sides read the same tables.
+        all_ = df.join(few, "id").join(texts, "id").select(*[F.col(c).alias(c) for c in ("c", "block", "chunk", "id", "n", "sketch", "text")])
+        return all_.groupBy("c", "block", "chunk")
+
+    def compare(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        if left.num_rows and right.num_rows:
+            shingle = Shingles(words)
+            with np.errstate(over="ignore"):
+                ids, n, bits, sets = [], [], [], []
+                for t in (left, right):
+                    t = t.combine_chunks()
+                    ids.append(t.column("id").to_numpy())
+                    n.append(t.column("n").to_numpy())
+                    bits.append(np.array(t.column("sketch").combine_chunks().flatten().to_numpy()).view(np.uint64).reshape(t.num_rows, -1))
+                    sets.append(shingle(t.column("text").combine_chunks()))
+                for k in range(left.num_rows):
+                    near = (np.bitwise_count(bits[0][k] ^ bits[1]).sum(1) <= far) & (100 * np.minimum(n[0][k], n[1]) >= percent * np.maximum(n[0][k], n[1]))
+                    for m in np.flatnonzero(near):
+                        p, q = sets[0][k], sets[1][m]
+                        common = len(np.intersect1d(p, q, assume_unique=True))
+                        if 100 * common >= percent * (len(p) + len(q) - common):
+                            out.append((int(ids[0][k]), int(ids[1][m])))
+                            break
+        return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
+
+    return with_text(meets).cogroup(with_text(members)).applyInArrow(compare, "a long, b long")
+
+
 def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: int = 2, most_rounds: int = 6) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of docs (doc_id, text)."""
     sig = cut(signatures(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), words))
@@ -209,13 +251,17 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
             break
         apart_before = apart
     # The rest: all members of a bucket in different components, held against their sketches where they meet.
-    known = live.join(reps.select("id", "n", "bands", "sketch"), "id").select("bucket", "band", "id", "c", "n", "bands", "sketch")
+    # Large components are held block by block, each block against chunks of the documents that share a bucket with it.
+    sizes = named.groupBy(F.col("component").alias("c")).agg(F.count("*").alias("size")).filter(F.col("size") >= LARGE)
+    live = cut(live.join(sizes, "c", "left").withColumn("blocks", F.ceil(F.col("size") / BLOCK)).drop("size"))
+    against = _against_blocks(live, named, sizes, few, texts, percent, words, far)
+    known = live.filter("blocks is null").join(reps.select("id", "n", "bands", "sketch"), "id").select("bucket", "band", "id", "c", "n", "bands", "sketch")
     x, y = (known.select("bucket", *[F.col(c).alias(f"{c}_{t}") for c in ("band", "id", "c", "n", "bands", "sketch")]) for t in "xy")
     bits = sum((F.bit_count(F.col("sketch_x")[k].bitwiseXOR(F.col("sketch_y")[k])) for k in range(SKETCH // 64)), F.lit(0))
     near = (F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")) & (bits <= far)
     earlier = F.zip_with(F.slice("bands_x", F.lit(1), F.col("band_x")), F.slice("bands_y", F.lit(1), F.col("band_x")), lambda p, q: p == q)
     rest = x.join(y, (x["bucket"] == y["bucket"]) & near & ~F.exists(earlier, lambda same: same)).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
-    named = joined_up(named, confirmed(rest, texts, percent, words))
+    named = joined_up(named, confirmed(rest, texts, percent, words).unionByName(against))
     of_set = reps.select("id", "set1", "set2").join(named, F.col("id") == F.col("node"), "left").select("set1", "set2", F.coalesce("component", "id").alias("component_id"))
     some = sig.filter("set1 is not null").select("doc_id", "n_shingles", "set1", "set2").join(of_set, ["set1", "set2"], "left").select("doc_id", "n_shingles", "component_id")
     none = sig.filter("set1 is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))

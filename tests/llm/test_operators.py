@@ -60,15 +60,18 @@ def near_corpus(n_base=12, copies=14):
         base = [f"w{x}" for x in g.integers(0, 900, int(g.integers(20, 160)))]
         for _ in range(copies):
             t = list(base)
-            for _ in range(int(g.integers(0, 4))):
+            for _ in range(int(g.integers(0, 4 if copies < 50 else 9))):
                 t[int(g.integers(0, len(t)))] = f"n{g.integers(0, 9999)}"
             rows.append((k, " ".join(t)))
             k += 1
     return rows
 
 
-def test_near_dedup_brute_force(spark):
-    rows = near_corpus()
+@pytest.mark.parametrize(("n_base", "copies", "large"), [(12, 14, 64), (3, 60, 8)])
+def test_near_dedup_brute_force(spark, monkeypatch, n_base, copies, large):
+    monkeypatch.setattr(near_dedup, "LARGE", large)
+    monkeypatch.setattr(near_dedup, "BLOCK", 8)
+    rows = near_corpus(n_base, copies)
     sets = {d: brute_shingles(t) for d, t in rows}
     name = {d: d for d in sets}
 
