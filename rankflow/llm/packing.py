@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import cut
-from .tokens import Encoder
+from .tokens import encoder
 
 
 def lower_bound(counts: np.ndarray, capacity: int) -> int:
@@ -135,13 +135,12 @@ def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, kee
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        encode = Encoder(tokenizer_path, keeps_space)
+        encode = encoder(tokenizer_path, keeps_space)
         tail = np.array([end_id], "<u4").tobytes()
         for b in batches:
-            ids, at = encode(b.column(1))
             rows = []
-            for k, doc in enumerate(b.column(0).to_pylist()):
-                mine = ids[at[k] : at[k + 1]].tobytes() + tail
+            for doc, ids in zip(b.column(0).to_pylist(), encode.each(b.column(1)), strict=True):
+                mine = ids + tail
                 for p in range(0, len(mine), 4 * capacity):
                     part = mine[p : p + 4 * capacity]
                     rows.append((doc, p // (4 * capacity), p >> 2, len(part) >> 2, zlib.crc32(part)))

@@ -19,79 +19,124 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .tokens import Encoder
+from .tokens import encoder
 
-MAGIC = b"RFT1"
-TOTAL_BITS, ZERO_BITS, REFRESH = 28, 20, 16
-ORDER2 = 1 << 20
+MAGIC = b"RFT2"
+TOTAL_BITS, REFRESH, MOST_LANES = 28, 64, 4096
+ORDER2 = 1 << 19
 U = np.uint64
+SHORT = U(1 << 32)
+
+
+def _next_sure() -> tuple[np.ndarray, np.ndarray]:
+    """By (hit * 8 + confidence): what a cell (id * 8 + confidence) gains, and whether its id is replaced instead."""
+    sure = np.arange(8)
+    gain = np.concatenate((np.where(sure > 1, sure >> 1, 1) - sure, np.minimum(sure + 1, 7) - sure))
+    return gain, np.concatenate((sure <= 1, np.zeros(8, bool)))
 
 
 class Model:
-    """Shared by the lanes of a block; the encoder and the decoder change it in the same way after each step."""
+    """Shared by the lanes of a block; the encoder and the decoder change it in the same way after each step.
+
+    A cell of order 1 or 2 holds the id it predicts and its confidence (0 to 7) in the low three bits."""
+
+    GAIN, REPLACED = _next_sure()
 
     def __init__(self, vocab: int, lanes: int):
-        self.vocab = vocab
-        self.counts = np.ones(vocab, np.int64)
-        self.id1, self.sure1 = np.zeros(vocab, np.int64), np.zeros(vocab, np.int64)
-        self.id2, self.sure2 = np.zeros(ORDER2, np.int64), np.zeros(ORDER2, np.int64)
+        self.vocab, self.zero_bits = vocab, vocab.bit_length() + 3
+        if self.zero_bits >= TOTAL_BITS - 3:
+            raise ValueError("vocabulary too large")
+        self.counts = np.zeros(vocab, np.int64)
+        self.cells1, self.cells2 = np.zeros(vocab, np.int32), np.zeros(ORDER2, np.int32)
         self.tries, self.hits = np.full(64, 4.0), np.full((2, 64), 1.0)
-        self.prev, self.last2 = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
-        self.kept = []
+        self.prev, self.mixed = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
+        self.kept, self.wait = [], 1
         self.refresh()
 
     def refresh(self) -> None:
         if self.kept:
             ids, cells, got2, got1 = (np.concatenate(x) for x in zip(*self.kept, strict=True))
-            self.counts += 24 * np.bincount(ids, minlength=self.vocab)
+            self.counts += np.bincount(ids, minlength=self.vocab)
             self.tries += np.bincount(cells, minlength=64)
-            self.hits[0] += np.bincount(cells, got2, 64)
-            self.hits[1] += np.bincount(cells, got1, 64)
-            self.kept = []
-        share = 1 + self.counts * ((1 << ZERO_BITS) - self.vocab) // int(self.counts.sum())
+            self.hits[0] += np.bincount(cells[got2], minlength=64)
+            self.hits[1] += np.bincount(cells[got1], minlength=64)
+            self.kept, self.wait = [], min(2 * self.wait, REFRESH)
+        # Every id has one share at least; the shares make up 2**zero_bits.
+        share = 1 + self.counts * ((1 << self.zero_bits) - self.vocab) // max(1, int(self.counts.sum()))
+        share[-1] += (1 << self.zero_bits) - int(share.sum())
         self.upto = np.concatenate(([0], np.cumsum(share)))
-        self.all0 = int(self.upto[-1])
-        room = (1 << TOTAL_BITS) - (1 << ZERO_BITS + 1)
-        self.mass = (self.hits / self.tries * 0.97 * room).astype(np.int64)  # the two hits are of different ids, so their shares stay under 1
-
-    def predict(self):
-        """(lower id, its mass, higher id, its mass, what is left for order 0) for each lane."""
-        self.at2 = (self.last2 * 506832829 + self.prev * 2654435761 >> 7) & (ORDER2 - 1)
-        self.p1, self.p2 = self.id1[self.prev], self.id2[self.at2]
-        self.cell = self.sure2[self.at2] * 8 + self.sure1[self.prev]
-        m2, m1 = self.mass[0][self.cell], self.mass[1][self.cell]
-        swap = self.p1 < self.p2
-        return np.where(swap, self.p1, self.p2), np.where(swap, m1, m2), np.where(swap, self.p2, self.p1), np.where(swap, m2, m1), (1 << TOTAL_BITS) - m1 - m2
+        self.share = share
+        self.owner = None
+        room = (1 << TOTAL_BITS) - (1 << self.zero_bits + 1)
+        # The two kinds of hits exclude each other, so their masses together stay under the total.
+        self.mass2, self.mass1 = (self.hits / self.tries * 0.97 * room).astype(np.int64)
+        self.rest = (1 << TOTAL_BITS) - self.mass2 - self.mass1
+
+    def owners(self) -> np.ndarray:
+        """The id of each share of order 0."""
+        if self.owner is None:
+            self.owner = np.repeat(np.arange(self.vocab, dtype=np.int32), self.share)
+        return self.owner
+
+    def predict(self) -> None:
+        """p1, p2: ids of orders 1 and 2 for each lane; m1, m2: their masses; left: the mass of order 0."""
+        self.at2 = (self.mixed + self.prev * 2654435761 >> 7) & (ORDER2 - 1)
+        self.e1, self.e2 = self.cells1.take(self.prev).astype(np.int64), self.cells2.take(self.at2).astype(np.int64)
+        self.p1, self.p2 = self.e1 >> 3, self.e2 >> 3
+        self.sure1, self.sure2 = self.e1 & 7, self.e2 & 7
+        self.cell = (self.sure2 << 3) + self.sure1
+        self.m1, self.m2, self.left = self.mass1.take(self.cell), self.mass2.take(self.cell), self.rest.take(self.cell)
+
+    def interval(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Begin and width of each lane's id in the mixture of the three orders."""
+        base, top = self.upto.take(ids) * self.left >> self.zero_bits, self.upto.take(ids + 1) * self.left >> self.zero_bits
+        self.hit1, self.hit2 = self.p1 == ids, self.p2 == ids
+        return base + self.m1 * (self.p1 < ids) + self.m2 * (self.p2 < ids), top - base + self.m1 * self.hit1 + self.m2 * self.hit2
+
+    def find(self, v: np.ndarray) -> np.ndarray:
+        """The ids whose intervals hold v."""
+        zero = self.upto.take(self.p1), self.upto.take(self.p1 + 1), self.upto.take(self.p2), self.upto.take(self.p2 + 1)
+        from1, to1, from2, to2 = (z * self.left >> self.zero_bits for z in zero)
+        ahead2 = self.m2 * (self.p2 < self.p1)  # mass of order 2 before the id of order 1, and the other way round
+        ahead1 = self.m1 * (self.p1 < self.p2)
+        same = self.p1 == self.p2
+        from1, to1 = from1 + ahead2, to1 + ahead2 + self.m1 + self.m2 * same
+        from2, to2 = from2 + ahead1, to2 + ahead1 + self.m2 + self.m1 * same
+        past1, past2 = v >= to1, v >= to2
+        ids = np.where(past1 | (v < from1), self.p2, self.p1)
+        k = np.flatnonzero((past1 | (v < from1)) & (past2 | (v < from2)))
+        x = (v - self.m1 * past1 - self.m2 * past2)[k]
+        # Exact in doubles: the dividend has under 2**53, the quotient under 2**25, and divisors are under 2**28.
+        slot = ((((x + 1) << self.zero_bits) - 1) / self.left[k]).astype(np.int64)
+        ids[k] = self.owners().take(slot, mode="clip")
+        return ids
 
     def learn(self, ids: np.ndarray) -> None:
-        n = len(ids)
-        prev, at2 = self.prev[:n], self.at2[:n]
-        hit2, hit1 = self.p2[:n] == ids, self.p1[:n] == ids
-        self.kept.append((ids, self.cell[:n], hit2, hit1 & ~hit2))
-        sure = self.sure1[prev]
-        self.sure1[prev] = np.where(hit1, np.minimum(sure + 1, 7), np.where(sure > 1, sure >> 1, 1))
-        new = ~hit1 & (sure <= 1)
-        self.id1[prev[new]] = ids[new]
-        sure = self.sure2[at2]
-        self.sure2[at2] = np.where(hit2, np.minimum(sure + 1, 7), np.where(sure > 1, sure >> 1, 1))
-        new = ~hit2 & (sure <= 1)
-        self.id2[at2[new]] = ids[new]
-        self.last2[:n] = prev
-        self.prev[:n] = ids
-        if len(self.kept) == REFRESH:
+        """After interval(ids)."""
+        self.kept.append((ids, self.cell, self.hit2, self.hit1 & ~self.hit2))
+        fresh = ids << 3 | 1
+        for cells, at, e, sure, hit in ((self.cells1, self.prev, self.e1, self.sure1, self.hit1), (self.cells2, self.at2, self.e2, self.sure2, self.hit2)):
+            case = sure + (hit << 3)
+            cells[at] = np.where(self.REPLACED.take(case), fresh, e + self.GAIN.take(case))
+        self.mixed = self.prev * 506832829
+        self.prev = ids
+        if len(self.kept) == self.wait:
             self.refresh()
 
     def narrow(self, n: int) -> None:
-        self.prev, self.last2 = self.prev[:n], self.last2[:n]
+        self.prev, self.mixed = self.prev[:n], self.mixed[:n]
 
 
 def _lanes(n: int) -> tuple[int, int]:
     """Lanes and steps: lane k holds ids k*steps to (k+1)*steps."""
-    lanes = max(1, min(2048, n // 64))
+    lanes = max(1, min(MOST_LANES, n // 128))
     return lanes, -(-n // lanes)
 
 
 def encode_ids(ids: np.ndarray, vocab: int) -> bytes:
+    """A lane keeps a low end and a range of 64 bits; 32 bits go out when the range falls under 2**32.
+
+    A carry out of the low end is added to the words that went out."""
     n = len(ids)
     if not n:
         return b""
@@ -99,55 +144,44 @@ def encode_ids(ids: np.ndarray, vocab: int) -> bytes:
     grid = np.zeros(lanes * steps, np.int64)
     grid[:n] = ids
     grid = np.ascontiguousarray(grid.reshape(lanes, steps).T)
-    model, wide = Model(vocab, lanes), steps * 2 + 16
-    out, pos = np.zeros(lanes * wide, np.uint16), np.arange(lanes) * wide
-    start = pos.copy()
+    model, wide = Model(vocab, lanes), steps + 2
+    out, pos = np.zeros(wide * lanes, np.uint32), np.arange(lanes)  # a lane's words are `lanes` apart
     low, rng = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U)
+
+    def end(low, first):
+        k = np.arange(first, first + len(low))
+        out[pos[k]], out[pos[k] + lanes] = low >> U(32), low & U(0xFFFFFFFF)
+        pos[k] += 2 * lanes
+
     for t in range(steps):
-        live = -(-(n - t) // steps)  # lanes that reach this far; a prefix of them
+        live = max(0, -(-(n - t) // steps))  # lanes that reach this far; a prefix of them
         if live < len(low):
-            _flush(low[live:], out, pos, live)
+            end(low[live:], live)
             low, rng = low[:live], rng[:live]
             model.narrow(live)
         s = grid[t, :live]
-        a, ma, b, mb, rest = model.predict()
-        base, top = model.upto[s] * rest // model.all0, model.upto[s + 1] * rest // model.all0
-        low_at = base + ma * (a < s) + mb * (b < s)
-        wide_at = top - base + ma * (a == s) + mb * (b == s)
+        model.predict()
+        begin, width = model.interval(s)
         step = rng >> U(TOTAL_BITS)
-        low += step * low_at.astype(U)
-        rng = step * wide_at.astype(U)
-        _normalise(low, rng, lambda k, x: _put(out, pos, k, x))
+        add = step * begin.view(U)
+        low = low + add
+        rng = step * width.view(U)
+        k = np.flatnonzero(low < add)
+        at = pos[k] - lanes
+        while len(at):
+            out[at] += np.uint32(1)
+            at = at[out[at] == 0] - lanes
+        k = np.flatnonzero(rng < SHORT)
+        lo, at = low[k], pos[k]
+        out[at] = lo >> U(32)
+        pos[k] = at + lanes
+        low[k] = lo << U(32)
+        rng[k] <<= U(32)
         model.learn(s)
-    _flush(low, out, pos, 0)
-    sizes = (pos - start).astype("<u4")
-    body = np.concatenate([out[x:y] for x, y in zip(start, pos, strict=True)]).astype("<u2")
-    return struct.pack("<II", n, lanes) + sizes.tobytes() + body.tobytes()
-
-
-def _put(out, pos, k, x) -> None:
-    out[pos[k]] = x
-    pos[k] += 1
-
-
-def _flush(low, out, pos, first: int) -> None:
-    k = np.arange(first, first + len(low))
-    for shift in (48, 32, 16, 0):
-        _put(out, pos, k, (low >> U(shift)) & U(0xFFFF))
-
-
-def _normalise(low, rng, shifted) -> None:
-    """Carry-less: 16 bits go once the top ones are settled, or the range is cut short so that they are."""
-    settled = (low ^ (low + rng)) < U(1 << 48)
-    k = np.flatnonzero(settled | (rng < U(1 << 32)))
-    while len(k):
-        lo, r = low[k], rng[k]
-        unsettled = (lo ^ (lo + r)) >= U(1 << 48)
-        r = np.where(unsettled, (~lo + U(1)) & U((1 << 32) - 1), r)
-        shifted(k, lo >> U(48))
-        lo, r = lo << U(16), r << U(16)
-        low[k], rng[k] = lo, r
-        k = k[((lo ^ (lo + r)) < U(1 << 48)) | (r < U(1 << 32))]
+    end(low, 0)
+    sizes = (pos // lanes).astype("<u4")
+    filled = np.arange(wide) < sizes[:, None]
+    return struct.pack("<II", n, lanes) + sizes.tobytes() + out.reshape(wide, lanes).T[filled].astype("<u4").tobytes()
 
 
 def decode_ids(data: bytes, vocab: int) -> np.ndarray:
@@ -155,39 +189,29 @@ def decode_ids(data: bytes, vocab: int) -> np.ndarray:
         return np.zeros(0, np.int64)
     n, lanes = struct.unpack_from("<II", data)
     sizes = np.frombuffer(data, "<u4", lanes, 8).astype(np.int64)
-    body = np.concatenate([np.frombuffer(data, "<u2", offset=8 + 4 * lanes), np.zeros(8, np.uint16)]).astype(U)
+    body = np.concatenate([np.frombuffer(data, "<u4", offset=8 + 4 * lanes), np.zeros(2, np.uint32)]).astype(U)
     pos = np.cumsum(sizes) - sizes
     steps = _lanes(n)[1]
     model = Model(vocab, lanes)
-    low, rng, code = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U), np.zeros(lanes, U)
-    for _ in range(4):
-        code = (code << U(16)) | body[pos]
-        pos += 1
+    code, rng = body[pos] << U(32) | body[pos + 1], np.full(lanes, (1 << 64) - 1, U)  # code: above the low end
+    pos += 2
     grid = np.zeros((steps, lanes), np.int64)
     for t in range(steps):
-        live = -(-(n - t) // steps)
-        if live < len(low):
-            low, rng, code, pos = low[:live], rng[:live], code[:live], pos[:live]
+        live = max(0, -(-(n - t) // steps))
+        if live < len(code):
+            code, rng, pos = code[:live], rng[:live], pos[:live]
             model.narrow(live)
-        a, ma, b, mb, rest = model.predict()
+        model.predict()
         step = rng >> U(TOTAL_BITS)
-        v = np.minimum((code - low) // step, U((1 << TOTAL_BITS) - 1)).astype(np.int64)
-        upto, all0 = model.upto, model.all0
-        a_from, a_to = upto[a] * rest // all0, upto[a + 1] * rest // all0 + ma
-        b_from, b_to = upto[b] * rest // all0 + ma, upto[b + 1] * rest // all0 + ma + mb
-        less = np.where(v < a_to, 0, np.where(v < b_to, ma, ma + mb))
-        s = np.searchsorted(upto, ((v - less + 1) * all0 - 1) // rest, "right") - 1
-        s = np.where((v >= a_from) & (v < a_to), a, np.where((v >= b_from) & (v < b_to) & (v >= a_to), b, s))
-        base, top = upto[s] * rest // all0, upto[s + 1] * rest // all0
-        low_at = base + ma * (a < s) + mb * (b < s)
-        low = low + step * low_at.astype(U)
-        rng = step * (top - base + ma * (a == s) + mb * (b == s)).astype(U)
-
-        def shifted(k, _, code=code, pos=pos):
-            code[k] = (code[k] << U(16)) | body[pos[k]]
-            pos[k] += 1
-
-        _normalise(low, rng, shifted)
+        s = model.find(np.minimum(code // step, U((1 << TOTAL_BITS) - 1)).view(np.int64))
+        begin, width = model.interval(s)
+        code = code - step * begin.view(U)
+        rng = step * width.view(U)
+        k = np.flatnonzero(rng < SHORT)
+        at = pos[k]
+        code[k] = code[k] << U(32) | body[at]
+        rng[k] <<= U(32)
+        pos[k] = at + 1
         model.learn(s)
         grid[t, :live] = s
     return grid.T.reshape(-1)[:n]
@@ -216,33 +240,29 @@ def read_block(data: bytes) -> tuple[list, np.ndarray, np.ndarray]:
     return doc_ids, np.frombuffer(head, "<u4", docs, k + 8 * docs).astype(np.int64), ids
 
 
-def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, vocab: int, end_id: int, keeps_space: bool = True, block_ids: int = 1 << 20) -> None:
+def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, vocab: int, end_id: int, keeps_space: bool = True, block_ids: int = 1 << 21) -> None:
     """Writes docs (doc_id, text) in ascending doc_id order: shards by range of doc_id, blocks in order within a shard."""
 
     def run(batches):
-        encode = Encoder(tokenizer_path, keeps_space)
+        encode, end = encoder(tokenizer_path, keeps_space), struct.pack("<I", end_id)
         held, lengths, ids, n, shard, number = [], [], [], 0, None, 0
         kinds = pa.schema([("shard", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("data", pa.binary())])
 
         def block():
-            data = write_block(held, np.array(lengths), np.concatenate(ids), vocab)
+            data = write_block(held, np.array(lengths), np.frombuffer(b"".join(ids), "<u4"), vocab)
             return pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((shard, number, n, data), kinds, strict=True)], schema=kinds)
 
         for b in batches:
-            # A batch is taken in stretches of bounded text, so that ids of long texts don't pile up.
-            for at in range(0, b.num_rows, 500):
-                part = b.slice(at, 500)
-                got, ends = encode(part.column(1))
-                for k, doc in enumerate(part.column(0).to_pylist()):
-                    shard = part.column(2)[k].as_py() if shard is None else shard
-                    mine = np.append(got[ends[k] : ends[k + 1]], np.uint32(end_id))
-                    held.append(doc)
-                    lengths.append(len(mine))
-                    ids.append(mine)
-                    n += len(mine)
-                    if n >= block_ids:
-                        yield block()
-                        held, lengths, ids, n, number = [], [], [], 0, number + 1
+            if shard is None and b.num_rows:
+                shard = b.column(2)[0].as_py()
+            for doc, mine in zip(b.column(0).to_pylist(), encode.each(b.column(1)), strict=True):
+                held.append(doc)
+                lengths.append((len(mine) >> 2) + 1)
+                ids += (mine, end)
+                n += lengths[-1]
+                if n >= block_ids:
+                    yield block()
+                    held, lengths, ids, n, number = [], [], [], 0, number + 1
         if held:
             yield block()
 

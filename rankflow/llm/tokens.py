@@ -1,85 +1,119 @@
-"""Exact fast tokenising with the tokenizers library: distinct pieces of a batch are encoded, then gathered.
+"""Exact fast tokenising with the tokenizers library: a text is cut into pieces, and a piece is encoded when first met.
 
 Both public vocabularies cut a text at single white space before any merge, so the ids of a text are those of its
-pieces in order. A batch is split and dictionary-coded in Arrow; a piece not met before is encoded by the library.
-Texts with irregular white space go to the library whole.
+pieces in order. Arrow marks the cuts of a batch; a piece not met before is encoded by the library, a word of Latin
+letters by its merging model at once (neither splitting nor normalising changes such a word), other pieces by all its
+steps. Texts with irregular white space go to the library whole. A worker process keeps its encoders between tasks,
+with the pieces they have met.
 """
 
 from __future__ import annotations
 
+import re
+from array import array
+from collections.abc import Callable, Iterator
+from functools import cache
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
 _S = r"[\t-\r \x1c-\x1f]"
 IRREGULAR = rf"{_S}{_S}|^{_S}|{_S}$|[\x1f\x{{85}}\x{{A0}}\x{{1680}}\x{{2000}}-\x{{200A}}\x{{2028}}\x{{2029}}\x{{202F}}\x{{205F}}\x{{3000}}]"
+#: Latin letters with and without marks; both vocabularies keep a run of them in one piece. Without U+0130, whose lower case is two code points.
+LETTER = "A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u012F\u0131-\u02AF"
+
+#: Characters of a text that are cut into pieces at once.
+LONG = 1 << 18
+
+
+def _byte_letters() -> dict[int, str]:
+    """Byte-level vocabularies write a byte as a letter: printable ones as themselves, the rest as those from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = (b for b in range(256) if b not in plain)
+    return {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(others)}
+
+
+@cache
+def encoder(path: str, keeps_space: bool) -> Encoder:
+    """One for each process."""
+    return Encoder(path, keeps_space)
+
+
+class Pieces(dict):
+    """Ids (little-endian, 4 bytes each) by piece; encodes a piece that it lacks. most: a bound of memory only."""
+
+    def __init__(self, encode: Callable[[str], bytes], most: int):
+        super().__init__({"": b""})
+        self.encode, self.most = encode, most
+
+    def __missing__(self, piece: str) -> bytes:
+        ids = self.encode(piece)
+        if len(piece) <= 40 and len(self) < self.most:
+            self[piece] = ids
+        return ids
 
 
 class Encoder:
-    """keeps_space: the vocabulary's pieces carry the space before them. most: pieces that are remembered, a bound of memory only."""
+    """keeps_space: the vocabulary's pieces carry the space before them. most: pieces that are remembered."""
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 800_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = 1_000_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.keeps_space, self.most, self.known = keeps_space, most, {}
+        self.keeps_space, self.letters = keeps_space, _byte_letters()
+        self.is_word, self.tokenize = re.compile(f"{' ?' if keeps_space else ''}[{LETTER}]+").fullmatch, self.tokenizer.model.tokenize
+        self.pieces = Pieces(self.piece, most)
 
     def whole(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
-    def __call__(self, texts: pa.Array, stretch: int = 6 << 20) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts in a row (uint32), and where each text's begin, with the end (int64). Null: no ids.
+    def piece(self, piece: str) -> bytes:
+        form = piece if self.keeps_space else piece.lower()
+        if len(form) > 100 or not self.is_word(form):
+            return self.whole(piece)
+        return array("I", [t.id for t in self.tokenize(form.encode().decode("latin-1").translate(self.letters))]).tobytes()
 
-        Works on stretches of about so many bytes, which bounds the memory beside the ids."""
+    def each(self, texts: pa.Array, stretch: int = 4 << 20) -> Iterator[bytes]:
+        """Ids of each text in order (little-endian, 4 bytes each; null: none), worked on in stretches of about so many bytes."""
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
         part = np.cumsum(pc.binary_length(texts).to_numpy()) // stretch
         cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(texts)]
-        got = [self._some(texts.slice(a, b - a)) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-        if len(got) == 1:
-            return got[0]
-        sizes = np.concatenate([np.diff(o) for _, o in got])
-        return np.concatenate([i for i, _ in got]), np.concatenate(([0], np.cumsum(sizes)))
-
-    def _some(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        irregular = np.flatnonzero(pc.match_substring_regex(texts, IRREGULAR).to_numpy(zero_copy_only=False))
-        odd = {int(k): texts[int(k)].as_py() for k in irregular}
-        if odd:
-            mask = np.zeros(len(texts), bool)
-            mask[irregular] = True
-            texts = pc.if_else(pa.array(mask), pa.scalar("", pa.large_string()), texts)
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            yield from self._some(texts.slice(a, b - a))
+
+    def __call__(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row (uint32), and where each text's begin, with the end (int64)."""
+        got = list(self.each(texts))
+        return np.frombuffer(b"".join(got), "<u4"), np.concatenate(([0], np.cumsum([len(g) >> 2 for g in got], dtype=np.int64)))
+
+    def _some(self, texts: pa.Array) -> Iterator[bytes]:
+        irregular = pc.match_substring_regex(texts, IRREGULAR).to_pylist()
+        # A full stop or comma between a letter and white space is a piece of its own in either vocabulary.
         if self.keeps_space:
-            texts = pc.replace_substring(pc.replace_substring(texts, " ", "\x1f "), "\n", "\x1f\n\x1f")
-            # A full stop or comma between a letter and white space is a piece of its own in either vocabulary.
-            lists = pc.split_pattern(pc.replace_substring_regex(texts, r"([A-Za-z])([.,])(\x1f|$)", "\\1\x1f\\2\\3"), "\x1f")
+            cut = pc.replace_substring(pc.replace_substring(texts, " ", "\x1f "), "\n", "\x1f\n\x1f")
+            cut, mark = pc.replace_substring_regex(cut, rf"([{LETTER}])([.,])(\x1f|$)", "\\1\x1f\\2\\3"), "\x1f"
         else:
-            texts = pc.ascii_lower(pc.replace_substring(texts, "\n", " "))
-            lists = pc.split_pattern(pc.replace_substring_regex(texts, r"([a-z])([.,])( |$)", r"\1 \2\3"), " ")
-        at = lists.offsets.to_numpy().astype(np.int64)
-        coded = lists.values.dictionary_encode()
-        codes = coded.indices.to_numpy()
-        known, pool = self.known, []
-        for piece in coded.dictionary.to_pylist():
-            ids = known.get(piece)
-            if ids is None:
-                ids = self.whole(piece) if piece else b""
-                if len(known) < self.most and len(piece) <= 40:
-                    known[piece] = ids
-            pool.append(ids)
-        sizes = np.fromiter(map(len, pool), np.int32, len(pool)) >> 2
-        begins = np.cumsum(sizes, dtype=np.int32) - sizes
-        pool = np.frombuffer(b"".join(pool), "<u4")
-        each = sizes[codes]
-        ends = np.concatenate((np.zeros(1, np.int32), np.cumsum(each, dtype=np.int32)))
-        ids = pool[np.repeat(begins[codes] - ends[:-1], each) + np.arange(ends[-1], dtype=np.int32)] if len(codes) else np.zeros(0, "<u4")
-        offsets = ends[at].astype(np.int64)
-        if not odd:
-            return ids, offsets
-        parts, sizes = [], np.diff(offsets)
-        last = 0
-        for k in sorted(odd):
-            got = np.frombuffer(self.whole(odd[k]), "<u4")
-            parts += [ids[last : offsets[k]], got]
-            last = offsets[k]
-            sizes[k] = len(got)
-        return np.concatenate([*parts, ids[last:]]), np.concatenate(([0], np.cumsum(sizes)))
+            cut = pc.ascii_lower(pc.replace_substring(texts, "\n", " "))
+            cut, mark = pc.replace_substring_regex(cut, rf"([{LETTER}])([.,])( |$)", r"\1 \2\3"), " "
+        ids = self.pieces.__getitem__
+        for k, odd in enumerate(irregular):
+            if odd:
+                yield self.whole(texts[k].as_py())
+            else:
+                text = cut[k].as_py()
+                if len(text) <= LONG:
+                    yield b"".join(map(ids, text.split(mark)))
+                else:
+                    yield b"".join(b"".join(map(ids, s.split(mark))) for s in _stretches(text, mark))
+
+
+def _stretches(text: str, mark: str) -> Iterator[str]:
+    """A long text, cut at marks, so that its pieces don't exist all at once."""
+    at = 0
+    while at <= len(text):
+        to = text.find(mark, at + LONG)
+        to = len(text) if to < 0 else to
+        yield text[at:to]
+        at = to + len(mark)
