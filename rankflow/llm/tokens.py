@@ -73,7 +73,9 @@ class Encoder:
         form = piece if self.keeps_space else piece.lower()
         if len(form) > 100 or not self.is_word(form):
             return self.whole(piece)
-        return array("I", [t.id for t in self.tokenize(form.encode().decode("latin-1").translate(self.letters))]).tobytes()
+        # Of ASCII, only the space is written as another letter.
+        form = form.replace(" ", self.letters[32]) if form.isascii() else form.encode().decode("latin-1").translate(self.letters)
+        return array("I", [t.id for t in self.tokenize(form)]).tobytes()
 
     def each(self, texts: pa.Array, stretch: int = 4 << 20) -> Iterator[bytes]:
         """Ids of each text in order (little-endian, 4 bytes each; null: none), worked on in stretches of about so many bytes."""
