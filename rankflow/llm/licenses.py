@@ -9,6 +9,9 @@ Null texts count as empty and match nothing. Repeated rows give repeated rows; e
 
 from __future__ import annotations
 
+import re
+from pathlib import Path
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,7 +19,7 @@ from .common import LOWER, UPPER
 
 BROADCAST_ROWS = 100_000
 
-#: Licence texts without their copyright lines, and one-line notices.
+#: Licence texts without their copyright lines, and one-line notices. The long texts are files.
 LICENSES = {
     "MIT": """MIT License
 
@@ -50,6 +53,28 @@ http://www.apache.org/licenses/LICENSE-2.0
 
 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.""",
 }
+
+
+def _full_table() -> None:
+    """Adds the texts of license_texts, and the forms in which a text goes about: with and without title, appendix or numbers."""
+    for f in sorted((Path(__file__).parent / "license_texts").glob("*.txt")):
+        LICENSES[f.stem] = f.read_text(encoding="utf-8")
+        terms = re.split(r"(?m)^\s*(?:APPENDIX: |Appendix: )?How to apply (?:the Apache License|these terms) to your", LICENSES[f.stem], maxsplit=1, flags=re.I)
+        if len(terms) > 1:
+            LICENSES[f"{f.stem} terms"] = terms[0]
+    two = LICENSES["BSD-2-Clause"]
+    third = "3. Neither the name of the {} nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.\n\nTHIS SOFTWARE"
+    LICENSES["BSD-3-Clause"] = two.replace("THIS SOFTWARE", third.format("copyright holder"), 1)
+    LICENSES["BSD-3-Clause university"] = LICENSES["BSD-3-Clause"].replace("of the copyright holder nor", "of the University nor").replace("THE COPYRIGHT HOLDERS AND", "THE REGENTS AND").replace("THE COPYRIGHT HOLDER OR", "THE REGENTS OR")
+    for name, title in (("BSD-2-Clause", "BSD 2-Clause License"), ("BSD-3-Clause", "BSD 3-Clause License")):
+        bulleted = re.sub(r"(?m)^\d\. ", "* ", LICENSES[name])
+        LICENSES.update({f"{name} titled": f"{title}\n\n{LICENSES[name]}", f"{name} bulleted": bulleted, f"{name} titled, bulleted": f"{title}\n\n{bulleted}"})
+    for name, title in (("MIT", "The MIT License (MIT)"), ("ISC", "The ISC License")):
+        bare = LICENSES[name].partition("\n\n")[2]
+        LICENSES.update({f"{name} untitled": bare, f"{name} titled": f"{title}\n\n{bare}"})
+
+
+_full_table()
 NOTICES = {
     "Licensed under the Apache License, Version 2.0.": "Apache-2.0",
     "Released under the MIT License.": "MIT",
@@ -66,6 +91,47 @@ NOTICES = {
     "SPDX-License-Identifier: Apache-2.0": "Apache-2.0",
     "SPDX-License-Identifier: MIT": "MIT",
 }
+
+
+def _full_notices() -> None:
+    """Adds the usual sentences with every name of every licence and version."""
+    names: dict[str, list[str]] = {
+        "MIT": ["MIT License", "MIT"], "ISC": ["ISC License", "ISC"], "Zlib": ["zlib License", "zlib"], "Unlicense": ["Unlicense"], "BSL-1.0": ["Boost Software License 1.0", "Boost Software License, Version 1.0", "BSL-1.0"],
+        "Apache-2.0": ["Apache License, Version 2.0", "Apache License 2.0", "Apache License v2.0", "Apache 2.0 License", "Apache-2.0"],
+        "CC0-1.0": ["CC0 1.0", "CC0-1.0", "CC0 1.0 Universal", "Creative Commons CC0 1.0 Universal License"],
+    }
+    for n in (2, 3):
+        names[f"BSD-{n}-Clause"] = [f"BSD {n}-Clause License", f"BSD {n}-Clause", f"{n}-Clause BSD License"]
+    for v in ("1.1", "2.0"):
+        names[f"MPL-{v}"] = [f"Mozilla Public License, Version {v}", f"Mozilla Public License {v}", f"Mozilla Public License v{v}", f"MPL {v}", f"MPL-{v}"]
+    for short, title, versions in (("GPL", "GNU General Public License", ("1.0", "2.0", "3.0")), ("LGPL", "GNU Lesser General Public License", ("2.1", "3.0")), ("LGPL", "GNU Library General Public License", ("2.0",)), ("AGPL", "GNU Affero General Public License", ("3.0",))):
+        for v in versions:
+            for w in {v, v.removesuffix(".0")}:
+                base = [f"{title}, version {w}", f"{title} version {w}", f"{title} v{w}", f"{title} {w}", f"{short} v{w}", f"{short}v{w}", f"{short}-{w}", f"GNU {short} v{w}"]
+                names.setdefault(f"{short}-{v}", []).extend([*base, *[f"{b} only" for b in base]])
+                names.setdefault(f"{short}-{v}-or-later", []).extend([*[f"{b} or later" for b in base], *[f"{b} or any later version" for b in base]])
+    for kind, words in (("BY", "Attribution"), ("BY-SA", "Attribution-ShareAlike"), ("BY-NC", "Attribution-NonCommercial"), ("BY-ND", "Attribution-NoDerivatives"), ("BY-NC-SA", "Attribution-NonCommercial-ShareAlike"), ("BY-NC-ND", "Attribution-NonCommercial-NoDerivatives")):
+        for v in ("1.0", "2.0", "2.5", "3.0", "4.0"):
+            tail = {"4.0": "International", "3.0": "Unported"}.get(v, "Generic")
+            names[f"CC-{kind}-{v}"] = [f"CC {kind} {v}", f"CC-{kind}-{v}", *[f"Creative Commons {words} {v}{e}" for e in ("", " License", f" {tail}", f" {tail} License", f" {tail} Public License")]]
+    taken = {re.sub("[^a-z0-9]+", " ", k.lower()).strip() for k in NOTICES}
+    for name, all_names in names.items():
+        lines = [f"SPDX-License-Identifier: {name}"]
+        for n in all_names:
+            full = n if "licens" in n.lower() else f"{n} License"
+            for way in ("Licensed under", "This work is licensed under", "This project is licensed under"):
+                lines += [f"{way} {n}.", f"{way} the {n}.", *([f"{way} a {n}."] if n.startswith("Creative") else [])]
+            for way in ("Released under", "Distributed under", "Distributed under the terms of"):
+                lines += [f"{way} {full}.", f"{way} the {full}."]
+            lines += [f"License: {n}", f"{full}."]
+        for line in lines:
+            form = re.sub("[^a-z0-9]+", " ", line.lower()).strip()
+            if form not in taken:
+                taken.add(form)
+                NOTICES[line] = name
+
+
+_full_notices()
 #: Spellings that count as one, in canonical form after punctuation has gone.
 EQUAL = [("licence", "license"), ("sub license", "sublicense"), ("non infringement", "noninfringement"), ("organisation", "organization"), ("acknowledgement", "acknowledgment"), ("per cent", "percent"), ("http", "https"), ("copyright owner", "copyright holder")]
 COPYRIGHT = r"(?m)^[^a-z0-9\n]*(?:copyright|\(c\)|©)[^\n]*$"
@@ -92,7 +158,9 @@ def scan(docs: DataFrame, texts: dict[str, str] = LICENSES, notices: dict[str, s
     whole = known(spark, texts)
     whole = F.broadcast(whole) if len(texts) <= BROADCAST_ROWS else whole
     lines = spark.createDataFrame(sorted(notices.items()), "text string, license string").select(canonical(F.col("text")).alias("t"), "license").collect()
-    table = F.create_map(*[F.lit(x) for r in {r.t: r.license for r in lines}.items() for x in r]) if lines else F.create_map().cast("map<string,string>")
+    rows = sorted({r.t: r.license for r in lines}.items())
+    # Two constants that the optimizer folds into one map; a literal for each notice is slow to plan.
+    table = F.map_from_arrays(*[F.split(F.lit("\n".join(x)), "\n", -1) for x in zip(*rows, strict=True)]) if lines else F.create_map().cast("map<string,string>")
     text = F.coalesce(F.col("text"), F.lit(""))
     # Only lines with these letters can be notices, since every notice has them.
     maybe = F.filter(F.split(text, "\n"), lambda x: x.rlike("(?i)licen[sc]e|licensed|CC BY|SPDX"))

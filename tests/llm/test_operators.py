@@ -247,6 +247,18 @@ def test_licenses(spark):
     assert got[3].notices == "MIT" and got[4].n_notices == 0
 
 
+def test_license_table_is_full(spark):
+    """Licence lines are counted from the table itself, not from NOTICES; every whole text is found under its own name."""
+    table = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()
+    count = {r.doc_id: sum(bool(re.match(r"(?i)\s*(?:(?:this work is )?licensed|released) under\b", x)) for x in (r.text or "").split("\n")) for r in table}
+    got = licenses.scan(spark.createDataFrame(table)).select("doc_id", "n_notices").collect()
+    assert sum(count.values()) == 39 and {r.doc_id: r.n_notices for r in got} == count
+    names = ["BSD-3-Clause", "Apache-2.0", "GPL-2.0", "GPL-3.0", "LGPL-2.1", "LGPL-3.0", "MPL-2.0", "CC0-1.0", "CC-BY-SA-4.0", "Unlicense"]
+    assert [r.license for r in licenses.scan(docs(spark, [(k, licenses.LICENSES[n]) for k, n in enumerate(names)])).orderBy("doc_id").collect()] == names
+    lines = ["Licensed under CC BY-NC-ND 3.0.", "SPDX-License-Identifier: AGPL-3.0", "Released under the GNU Lesser General Public License, version 2.1."]
+    assert [r.notices for r in licenses.scan(docs(spark, list(enumerate(lines)))).orderBy("doc_id").collect()] == ["CC-BY-NC-ND-3.0", "AGPL-3.0", "LGPL-2.1"]
+
+
 def lengths_of(counts, plan, capacity):
     used = np.zeros_like(counts)
     for filling, n in plan:
