@@ -3,8 +3,8 @@
 Both public vocabularies cut a text at single white space before any merge, so the ids of a text are those of its
 pieces in order. Arrow marks the cuts of a batch; a piece not met before is encoded by the library, a word of Latin
 letters by its merging model at once (neither splitting nor normalising changes such a word), other pieces by all its
-steps. Texts with irregular white space go to the library whole. A worker process keeps its encoders between tasks,
-with the pieces they have met.
+steps. Texts with irregular white space or with the string of an added token go to the library whole. A worker process
+keeps its encoders between tasks, with the pieces they have met.
 """
 
 from __future__ import annotations
@@ -61,7 +61,9 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        added = sorted(t.content for t in self.tokenizer.get_added_tokens_decoder().values())
+        # In any case of letters: pieces are made lower, and that must not make an added token.
+        self.irregular = "|".join([IRREGULAR, *["(?i:" + re.sub(r"([^0-9A-Za-z_\x80-\U0010ffff])", r"\\\1", a) + ")" for a in added]])
         self.keeps_space, self.letters = keeps_space, _byte_letters()
         self.is_word, self.tokenize = re.compile(f"{' ?' if keeps_space else ''}[{LETTER}]+").fullmatch, self.tokenizer.model.tokenize
         self.pieces = Pieces(self.piece, most)
@@ -91,7 +93,7 @@ class Encoder:
         return np.frombuffer(b"".join(got), "<u4"), np.concatenate(([0], np.cumsum([len(g) >> 2 for g in got], dtype=np.int64)))
 
     def _some(self, texts: pa.Array) -> Iterator[bytes]:
-        irregular = pc.match_substring_regex(texts, IRREGULAR).to_pylist()
+        irregular = pc.match_substring_regex(texts, self.irregular).to_pylist()
         # A full stop or comma between a letter and white space is a piece of its own in either vocabulary.
         if self.keeps_space:
             cut = pc.replace_substring(pc.replace_substring(texts, " ", "\x1f "), "\n", "\x1f\n\x1f")

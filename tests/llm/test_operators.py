@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from rankflow.llm import boosting, common, embedding_dedup, exact_dedup, language_id, licenses, mixing, near_dedup, packing, pii, queries, token_output, toxicity
+from rankflow.llm import boosting, common, embedding_dedup, exact_dedup, language_id, licenses, mixing, near_dedup, packing, pii, queries, token_output, tokens, toxicity
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long, u double, level string, _g_0 string"
 
@@ -320,6 +320,19 @@ def test_packing_brute_force(spark, tokenizers_of):
         assert at <= 4096
 
 
+@pytest.mark.parametrize(("name", "keeps_space"), [("word_bpe_49k.json", False), ("byte_bpe_50k.json", True)])
+def test_added_tokens_keep_their_ids(name, keeps_space):
+    """Against the library at its default, where a text holds the string of an added token."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path(name)
+    t = Tokenizer.from_file(path)
+    texts = ["one <|endoftext|> two", "a<|endoftext|>b", "<|startoftext|>x. y", "end <|endoftext|>", "plain, words.", "<|ENDOFTEXT|> <| endoftext |>", "word " * 70_000 + "<|endoftext|>"]
+    got = tokens.Encoder(path, keeps_space).each(pa.array(texts))
+    assert [np.frombuffer(g, "<u4").tolist() for g in got] == [t.encode(x, add_special_tokens=False).ids for x in texts]
+
+
 def test_range_coder_round_trips():
     g = np.random.default_rng(8)
     for n in (0, 1, 2, 63, 65, 4097, 30000):
