@@ -134,7 +134,37 @@ def _full_notices() -> None:
 _full_notices()
 #: Spellings that count as one, in canonical form after punctuation has gone.
 EQUAL = [("licence", "license"), ("sub license", "sublicense"), ("non infringement", "noninfringement"), ("organisation", "organization"), ("acknowledgement", "acknowledgment"), ("per cent", "percent"), ("http", "https"), ("copyright owner", "copyright holder")]
-COPYRIGHT = r"(?m)^[^a-z0-9\n]*(?:copyright|\(c\)|©)[^\n]*$"
+#: Words of licence texts after "copyright", which don't begin a holder's name.
+NO_HOLDER = ["act", "and", "disclaimer", "doctrine", "doctrines", "etc", "for", "holder", "holders", "if", "in", "interest", "interests", "is", "it", "law", "laws", "license", "licenses", "licence", "line", "notice", "notices", "of", "on", "or", "owner", "owners", "permission", "protection", "resulting", "right", "rights", "statement", "statements", "status", "that", "the", "treaty", "under"]
+
+
+#: Words that begin the sentence after a copyright statement, where an initial or a short form ends it.
+NEXT = ["all", "available", "distributed", "licensed", "permission", "redistribution", "released", "see", "spdx", "the", "this", "under", "use"]
+
+
+def _other_word(words: list[str], begun: bool = False) -> str:
+    """A pattern of the words of a-z that are none of these, without looking ahead (DuckDB can't)."""
+    rest = {c: [w[1:] for w in words if w[:1] == c] for c in sorted({w[0] for w in words if w})}
+    ways = [rf"[{''.join(c for c in LOWER if c not in rest)}][a-z]*"]
+    ways += [rf"{c}(?:{_other_word(tails, True)})" for c, tails in rest.items()]
+    return "|".join(ways + ([r"\b"] if begun and "" not in words else []))
+
+
+def _copyright() -> str:
+    """A mark at the start of a line, then a year or a holder, to the end of the statement or of the line.
+
+    The foundation's statement is part of its licences and may be wrapped, so it may go over a line's end, as the reservation of all rights may."""
+    year, gap = r"(?:19|20)[0-9]{2}\b", r"[\x20\t:,]*"
+    the = rf"the[\x20\t]+(?:{_other_word(['document', 'library', 'program', 'software', 'work'])})"
+    named = rf"(?:{year}|\b(?:{the}|{_other_word(['year', 'yyyy', *NO_HOLDER])})\b)"
+    first = rf"copyright{gap}{year}|\(c\){gap}(?:copyright{gap})?{year}|(?:copyright{gap}(?:\(c\)|©){gap}|copyright[\x20\t:,]+|©{gap}(?:copyright{gap})?){named}"
+    short = r"\b(?:[a-z]|inc|ltd|co|corp|jr|sr|dr|mr|mrs|st|bros|dept|univ|llc)\."
+    inside = rf"(?:[^\n.]*(?:{short}[\x20\t]+(?:\b(?:{_other_word(NEXT)})\b|[^a-z\s.])|\.[^\s.])){{0,99}}"
+    foundation = r"copyright\s+\(c\)\s+[0-9][0-9,\s]*free\s+software\s+foundation,\s+inc\.,?(?:\s+<https?://fsf\.org/>)?"
+    return rf"(?m)^[^a-z0-9(©\n]*(?:{foundation}|(?:{first}){inside}[^\n.]*\.?)|\ball\s+rights\s+reserved\b"
+
+
+COPYRIGHT = _copyright()
 
 
 def canonical(text: Column) -> Column:

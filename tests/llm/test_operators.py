@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import textwrap
 import zlib
 from collections import Counter, defaultdict
 
@@ -259,6 +260,20 @@ def test_license_table_is_full(spark):
     assert [r.notices for r in licenses.scan(docs(spark, list(enumerate(lines)))).orderBy("doc_id").collect()] == ["CC-BY-NC-ND-3.0", "AGPL-3.0", "LGPL-2.1"]
 
 
+def test_license_texts_may_be_wrapped(spark):
+    """Every known text at several widths, the short ones at narrow ones too; only copyright statements go."""
+    rows, want = [], []
+    for name, text in licenses.LICENSES.items():
+        for width in (40, 60, 66, 72, 79, 100, 10_000):
+            flat = [textwrap.fill(" ".join(p.split()), width, break_long_words=False, break_on_hyphens=False) for p in re.split(r"\n\s*\n", text)]
+            rows.append((len(rows), "Copyright (c) 2019-2021 J. Doe, Foo Inc. and others. All rights reserved.\n\n" + "\n\n".join(flat)))
+            want.append(name)
+    got = {r.doc_id: r.license for r in licenses.scan(docs(spark, rows)).collect()}
+    assert [(k, want[k], got[k]) for k in range(len(rows)) if got[k] != want[k]] == []
+    lines = ["Copyright 2020 X. Released under the MIT License.", "(c) 2020 Foo Inc. Licensed under CC BY-NC 4.0.", "copyright notice: Released under the MIT License."]
+    assert [r.notices for r in licenses.scan(docs(spark, list(enumerate(lines)))).orderBy("doc_id").collect()] == ["MIT", "CC-BY-NC-4.0", ""]
+
+
 def lengths_of(counts, plan, capacity):
     used = np.zeros_like(counts)
     for filling, n in plan:
