@@ -130,12 +130,12 @@ def plan(counts: np.ndarray, capacity: int, node_budget: int = 6000, width: int
     return best
 
 
-def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, keeps_space: bool) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, keeps_space: bool, added_tokens: bool = False) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32): each document's ids with the end id, cut only where longer than capacity."""
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        encode = encoder(tokenizer_path, keeps_space)
+        encode = encoder(tokenizer_path, keeps_space, added_tokens)
         tail = np.array([end_id], "<u4").tobytes()
         for b in batches:
             rows = []
@@ -199,5 +199,7 @@ def pack(items: DataFrame, capacity: int, planner: Callable = plan, rows_per_ran
     return ranked.mapInArrow(place, f"{kinds}, sequence_id long, offset long")
 
 
-def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, capacity: int = 4096, keeps_space: bool = False) -> DataFrame:
-    return pack(pieces(docs, tokenizer_path, end_id, capacity, keeps_space), capacity).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, capacity: int = 4096, keeps_space: bool = False, added_tokens: bool = False) -> DataFrame:
+    """added_tokens: strings of the vocabulary's added tokens become their ids, as the library does by default; else no text
+    can make a control id."""
+    return pack(pieces(docs, tokenizer_path, end_id, capacity, keeps_space, added_tokens), capacity).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")

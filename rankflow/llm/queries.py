@@ -58,12 +58,12 @@ def op8_projection_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(read(spark, sf_dir, "documents"), _tokenizer("word_bpe_49k.json"))
+    return packing.pack_documents(read(spark, sf_dir, "documents"), _tokenizer("word_bpe_49k.json"), added_tokens=True)
 
 
 def op10_range_coded_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{shared_dir(spark)}/token-ids-{uuid.uuid4().hex}"
-    token_output.write_tokens(read(spark, sf_dir, "documents"), path, _tokenizer("byte_bpe_50k.json"), vocab=50257, end_id=2)
+    token_output.write_tokens(read(spark, sf_dir, "documents"), path, _tokenizer("byte_bpe_50k.json"), vocab=50257, end_id=2, added_tokens=True)
     return token_output.read_tokens(spark, path)
 
 

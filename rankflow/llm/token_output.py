@@ -240,11 +240,13 @@ def read_block(data: bytes) -> tuple[list, np.ndarray, np.ndarray]:
     return doc_ids, np.frombuffer(head, "<u4", docs, k + 8 * docs).astype(np.int64), ids
 
 
-def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, vocab: int, end_id: int, keeps_space: bool = True, block_ids: int = 1 << 21) -> None:
-    """Writes docs (doc_id, text) in ascending doc_id order: shards by range of doc_id, blocks in order within a shard."""
+def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, vocab: int, end_id: int, keeps_space: bool = True, block_ids: int = 1 << 21, added_tokens: bool = False) -> None:
+    """Writes docs (doc_id, text) in ascending doc_id order: shards by range of doc_id, blocks in order within a shard.
+
+    added_tokens: strings of the vocabulary's added tokens become their ids; else no text can make a control id."""
 
     def run(batches):
-        encode, end = encoder(tokenizer_path, keeps_space), struct.pack("<I", end_id)
+        encode, end = encoder(tokenizer_path, keeps_space, added_tokens), struct.pack("<I", end_id)
         held, lengths, ids, n, shard, number = [], [], [], 0, None, 0
         kinds = pa.schema([("shard", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("data", pa.binary())])
 
