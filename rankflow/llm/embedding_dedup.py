@@ -1,135 +1,191 @@
 """Embedding near-dedup with a forest of random-projection trees.
 
-Vectors of one label with equal components are one class; classes are indexed. A tree splits a label's vectors by random
-directions, one for each level, at medians of a bounded sample; vectors within ``spill`` of a split go to both sides. Leaves
-hold about ``leaf`` vectors whatever the input's size, since depth follows the label's count; a leaf that outgrows
-``block`` (vectors no direction tells apart) is compared block by block in as many tasks, so none is dropped. Pairs are
-compared in double precision within leaves, confirmed there, and the trees' links are united.
-
-Vectors that are null, zero, of another length than most, or hold null or non-finite components, and those with a null
-label, link with nothing. Repeated rows are copies. An empty table gives an empty result; further columns are ignored.
+Vectors of one label and length with equal components are one class; classes are indexed, each (label, length) by itself. A
+tree splits them by random directions, one for each level, at medians of a bounded sample; vectors within ``spill`` of a split
+go to both sides. Leaves hold about ``leaf`` vectors whatever the input's size, since depth follows the count; a group of at
+most ``leaf`` is one leaf of one tree. Rows are first placed by id alone, then meet their vectors, once for each leaf. A leaf
+over ``block`` vectors is compared block by block in as many tasks, so none is dropped. Within a leaf pairs are compared in
+double precision; a pair counts only in the first leaf that brings it together, and a leaf returns a row for each vector (how
+many it links with, and the least vector it reaches there), so nothing grows with the square of a group but the comparisons.
+
+Vectors that are null, zero, or hold null or non-finite components, and those with a null label or vec_id, link with nothing.
+Repeated rows are copies; different vectors of one vec_id are compared each, and its rows all get the sum and the least name.
+An empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
 
+import pickle
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, cut
-
-SAMPLE = 20_000  # vectors that the splits are fitted on
-
-
-class Tree:
-    """Directions by level and, for each label, thresholds by node; deeper nodes than the sample reaches use their level's."""
-
-    def __init__(self, seed: int, dim: int, sample: dict[object, np.ndarray], depth: dict[object, int]):
-        g = np.random.default_rng(seed)
-        self.depth = depth
-        self.directions = g.standard_normal((max(depth.values(), default=0), dim))
-        self.directions /= np.linalg.norm(self.directions, axis=1, keepdims=True)
-        self.cuts = {}
-        for label, x in sample.items():
-            node = np.zeros(len(x), np.int64)
-            for level in range(min(depth.get(label, 0), 14)):
-                p = x @ self.directions[level]
-                self.cuts[label, level, None] = float(np.median(p)) if len(p) else 0.0
-                for k in np.unique(node):
-                    own = p[node == k]
-                    if len(own) >= 12:
-                        self.cuts[label, level, int(k)] = float(np.median(own))
-                node = 2 * node + np.array([v >= self.cuts.get((label, level, int(k)), self.cuts[label, level, None]) for k, v in zip(node, p, strict=True)], np.int64)
-
-    def leaves(self, label, x: np.ndarray, spill: float) -> tuple[np.ndarray, np.ndarray]:
-        """(row, leaf) of all leaves that each row of x goes to."""
-        row, node = np.arange(len(x)), np.zeros(len(x), np.int64)
-        for level in range(self.depth.get(label, 0)):
-            p = (x @ self.directions[level])[row]
-            base = self.cuts.get((label, level, None), 0.0)
-            nodes, inverse = np.unique(node, return_inverse=True)
-            cuts = np.array([self.cuts.get((label, level, int(k)), base) for k in nodes])[inverse]
-            left, right = p < cuts + spill, p >= cuts - spill
-            row, node = np.concatenate((row[left], row[right])), np.concatenate((2 * node[left], 2 * node[right] + 1))
-        return row, node
-
-
-def links(vectors: DataFrame, threshold: float = 0.93, trees: int = 10, leaf: int = 96, spill: float = 0.022, block: int = 1024, seed: int = 7) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(classes, members, links): classes (id, label, vector, copies), members (vec_id, id), links (a, b) between classes."""
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label"), F.col("embedding").cast("array<double>").alias("v"))
+from .common import components, cut, small
+
+SAMPLE = 20_000  # about so many vectors of a group fit its splits
+CHUNK = 20_000  # vectors of a group that one task places
+KEY = ["label", "dim"]
+
+
+class Forest:
+    """Directions by tree and level (from a seed), thresholds by node; nodes that the sample doesn't reach use their level's."""
+
+    def __init__(self, dim: int, depth: int, trees: int, seed: int):
+        g = np.random.default_rng((seed, dim))
+        self.directions = g.standard_normal((trees, depth, dim))
+        self.directions /= np.linalg.norm(self.directions, axis=2, keepdims=True)
+        self.cuts: list[list[tuple[float, np.ndarray, np.ndarray]]] = []
+
+    def fit(self, x: np.ndarray) -> Forest:
+        for tree in self.directions:
+            node, levels = np.zeros(len(x), np.int64), []
+            for direction in tree:
+                p = x @ direction
+                base = float(np.median(p)) if len(p) else 0.0
+                names, inverse, many = np.unique(node, return_inverse=True, return_counts=True)
+                own = np.array([np.median(p[inverse == k]) if n >= 12 else base for k, n in enumerate(many)]) if len(names) <= 4096 else np.full(len(names), base)
+                levels.append((base, names, own))
+                node = 2 * node + (p >= own[inverse])
+            self.cuts.append(levels)
+        return self
+
+    def leaves(self, x: np.ndarray, spill: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(row, tree, leaf): all leaves that each row of x goes to."""
+        out = []
+        for t, tree in enumerate(self.directions):
+            row, node = np.arange(len(x)), np.zeros(len(x), np.int64)
+            for direction, (base, names, own) in zip(tree, self.cuts[t], strict=True):
+                p = (x @ direction)[row]
+                at = np.minimum(np.searchsorted(names, node), len(names) - 1)
+                cuts = np.where(names[at] == node, own[at], base) if len(names) else np.full(len(p), base)
+                left, right = p < cuts + spill, p >= cuts - spill
+                row, node = np.concatenate((row[left], row[right])), np.concatenate((2 * node[left], 2 * node[right] + 1))
+            out.append((row, np.full(len(row), t, np.int32), node))
+        return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
+def _unit(vectors: pa.ChunkedArray | pa.Array, rows: int) -> np.ndarray:
+    if isinstance(vectors, pa.ChunkedArray):
+        vectors = vectors.combine_chunks()
+    x = np.array(vectors.flatten().to_numpy(zero_copy_only=False), np.float64).reshape(rows, -1)
+    x /= np.abs(x).max(axis=1, keepdims=True)  # so that no square is lost or overflows
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
+def _least_reached(linked: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """The least id that each row reaches over a symmetric matrix of links."""
+    least = ids
+    while True:
+        new = np.minimum(least, np.where(linked, least[None, :], np.iinfo(np.int64).max).min(axis=1, initial=np.iinfo(np.int64).max))
+        if (new == least).all():
+            return least
+        least = new
+
+
+def _met_before(earlier: pa.Array, u: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Whether the rows u and w share a leaf of those listed in earlier, a list for each row."""
+    size = earlier.value_lengths().to_numpy()
+    codes = np.repeat(-1 - np.arange(len(size))[:, None], size.max(initial=0), axis=1)  # padded by a number of that row only
+    codes[np.arange(codes.shape[1]) < size[:, None]] = earlier.flatten().to_numpy()
+    out = np.zeros(len(u), bool)
+    for at in range(0, len(u), 1 << 14):
+        part = slice(at, at + (1 << 14))
+        a, b = codes[u[part]], codes[w[part]]
+        for k in range(codes.shape[1]):
+            out[part] |= (a[:, k : k + 1] == b).any(axis=1)
+    return out
+
+
+def links(vectors: DataFrame, threshold: float = 0.93, trees: int = 10, leaf: int = 512, spill: float = 0.022, block: int = 1536, seed: int = 7) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(classes, members, found): classes (id, name, label, dim, copies, v), members (vec_id, id), found (id, others, least): rows
+    for a class, how many vectors it links with (to be summed), and the least id it reaches in that leaf."""
+    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "label", F.col("embedding").alias("v"))
+    element = rows.schema["v"].dataType.elementType.simpleString()
+    if element != "float":  # floats stay floats on the way: half the bytes, and no digit is lost
+        element, rows = "double", rows.withColumn("v", F.col("v").cast("array<double>"))
     fine = F.col("label").isNotNull() & F.col("v").isNotNull() & F.coalesce(~F.exists("v", lambda c: c.isNull() | F.isnan(c) | (F.abs(c) == float("inf"))) & F.exists("v", lambda c: c != 0.0), F.lit(False))
-    good = rows.filter(fine & F.col("vec_id").isNotNull()).withColumn("v", F.transform("v", lambda c: c + F.lit(0.0)))
-    classes = cut(good.groupBy("label", "v").agg(F.min("vec_id").alias("id"), F.count("*").alias("copies")))
+    good = rows.filter(fine & F.col("vec_id").isNotNull()).withColumn("v", F.transform("v", lambda c: (c + F.lit(0.0)).cast(element)))
+    classes = cut(good.groupBy("label", "v").agg(F.min("vec_id").alias("name"), F.count("*").alias("copies")))
+    classes = classes.withColumns({"id": F.monotonically_increasing_id(), "dim": F.size("v")})  # over checkpointed partitions: the same each time
     members = good.join(classes.select("label", "v", "id"), ["label", "v"]).select("vec_id", "id")
-    sizes = classes.groupBy("label", F.size("v").alias("dim")).count().orderBy(F.desc("count")).limit(100_000).collect()
-    depth, dim = {}, max((r.dim for r in sizes), default=1)
-    dims = {}
-    for r in sizes:
-        dims[r.dim] = dims.get(r.dim, 0) + r["count"]
-        depth[r.label] = max(depth.get(r.label, 0), int(np.ceil(np.log2(max(1, r["count"] / leaf)))))
-    dim = max(dims, key=dims.get, default=1)
-    sample: dict = {}
-    for r in classes.filter(F.size("v") == dim).orderBy(F.xxhash64("id", F.lit(seed))).limit(SAMPLE).select("label", "v").collect():
-        sample.setdefault(r.label, []).append(r.v)
-    sample = {k: (y := np.array(x)) / np.linalg.norm(y, axis=1, keepdims=True) for k, x in sample.items()}
-    forest = [Tree(seed + k, dim, sample, depth) for k in range(trees)]
-    label_type = vectors.schema["label"].dataType.simpleString()
-
-    def assign(batches):
-        for b in batches:
-            ids, labels = b.column(0), b.column(1)
-            x = np.array(b.column(2).flatten().to_numpy()).reshape(-1, dim)
-            x = x / np.linalg.norm(x, axis=1, keepdims=True)
-            names = labels.to_pylist()
-            for label in set(names):
-                own = np.flatnonzero(np.array([n == label for n in names]))
-                for t, tree in enumerate(forest):
-                    row, node = tree.leaves(label, x[own], spill)
-                    at = pa.array(own[row])
-                    yield pa.RecordBatch.from_arrays([ids.take(at), labels.take(at), pa.array(np.full(len(row), t), pa.int32()), pa.array(node), b.column(2).take(at)], ["id", "label", "tree", "node", "v"])
-
-    placed = classes.filter(F.size("v") == dim).select("id", "label", "v").mapInArrow(assign, f"id long, label {label_type}, tree int, node long, v array<double>")
-    key = ["label", "tree", "node"]
-    big = placed.groupBy(*key).count().filter(F.col("count") > 1).withColumn("blocks", F.ceil(F.col("count") / block))
+    label = f"label {vectors.schema['label'].dataType.simpleString()}, dim int"
+    sizes = cut(classes.groupBy(*KEY).agg(F.count("*").alias("n")).filter("n > 1"))
+    large = small(sizes.filter(F.col("n") > leaf).withColumn("chunks", F.ceil(F.col("n") / CHUNK)))
+    split = classes.join(large, KEY)
+
+    def fit(key: tuple, t: pa.Table) -> pa.Table:
+        n = int(t.column("n")[0].as_py())
+        depth = int(np.ceil(np.log2(n / leaf)))
+        forest = Forest(key[1].as_py(), depth, trees, seed).fit(_unit(t.column("v"), t.num_rows))
+        return pa.table({"label": t.column("label").slice(0, 1), "dim": t.column("dim").slice(0, 1), "model": pa.array([pickle.dumps(forest.cuts)], pa.binary()), "depth": pa.array([depth], pa.int32())})
+
+    sampled = split.filter(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 40)) < F.lit(float(SAMPLE << 40)) / F.col("n")).select(*KEY, "n", "v")
+    models = cut(sampled.groupBy(*KEY).applyInArrow(fit, f"{label}, model binary, depth int"))
+
+    def place(left: pa.Table, right: pa.Table) -> pa.Table:
+        kinds = {"id": pa.int64(), "tree": pa.int32(), "node": pa.int64(), "earlier": pa.list_(pa.int64())}
+        if not left.num_rows or not right.num_rows:
+            return pa.table({k: pa.array([], t) for k, t in kinds.items()})
+        ids = left.column("id").to_numpy()
+        x = _unit(left.column("v"), len(ids))
+        forest = Forest(x.shape[1], right.column("depth")[0].as_py(), trees, seed)
+        forest.cuts = pickle.loads(right.column("model")[0].as_py())
+        row, tree, node = forest.leaves(x, spill)
+        order = np.lexsort((node, tree, row))
+        row, tree, node = row[order], tree[order], node[order]
+        code = (tree.astype(np.int64) << 48) + node
+        first = np.searchsorted(row, row)  # the row's first entry, in order of tree and leaf
+        before = np.arange(len(row)) - first
+        ends = np.cumsum(before)
+        listed = np.repeat(first - (ends - before), before) + np.arange(int(before.sum()))  # for each entry, those of its row before it
+        earlier = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], ends)).astype(np.int32)), pa.array(code[listed]))
+        return pa.table([pa.array(ids[row]), pa.array(tree), pa.array(node), earlier], names=list(kinds))
+
+    dealt = split.withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks"))).select(*KEY, "chunk", "id", "v")
+    sent = models.join(large, KEY).select(*KEY, F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).alias("chunk"), "model", "depth")
+    placed = dealt.groupBy(*KEY, "chunk").cogroup(sent.groupBy(*KEY, "chunk")).applyInArrow(place, "id long, tree int, node long, earlier array<long>")
+    whole = classes.join(small(sizes.filter(F.col("n") <= leaf)), KEY).select("id", F.lit(0).alias("tree"), F.lit(0).cast("long").alias("node"), F.array().cast("array<long>").alias("earlier"))
+    placed = cut(placed.unionByName(whole))
+    met = placed.join(classes.select("id", *KEY, "copies", "v"), "id")
+    at = [*KEY, "tree", "node"]
+    over = placed.join(classes.select("id", *KEY), "id").groupBy(*at).agg(F.count("*").alias("n")).filter(F.col("n") > block).select(*at, F.ceil(F.col("n") / block).alias("blocks"))
+    met = met.join(small(cut(over)), at, "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long"))).withColumn("i", F.pmod(F.xxhash64("id"), F.col("blocks")))
     # Row r of block i goes to the tasks (i, j) and (j, i): each pair of blocks meets in one task.
-    mine = placed.join(big, key).withColumn("i", F.pmod(F.xxhash64("id"), F.col("blocks")))
-    dealt = mine.select("id", "v", *key, "i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("j"))
-    dealt = dealt.select("id", "v", *key, F.greatest("i", "j").alias("p"), F.least("i", "j").alias("q"), "i")
+    met = met.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    met = met.select(*at, F.greatest("i", "j").alias("p"), F.least("i", "j").alias("q"), "i", "id", "copies", "earlier", "v")
 
-    def compare(batches):
-        t = pa.Table.from_batches(batches)
+    def compare(t: pa.Table) -> pa.Table:
+        none = pa.table({"id": pa.array([], pa.int64()), "others": pa.array([], pa.int64()), "least": pa.array([], pa.int64())})
         if t.num_rows < 2:
-            return pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
-        ids = t.column("id").to_numpy()
-        x = np.array(t.column("v").combine_chunks().flatten().to_numpy()).reshape(len(ids), dim)
-        size = np.linalg.norm(x, axis=1)
-        i = t.column("i").to_numpy()
-        p, q = int(t.column("p")[0].as_py()), int(t.column("q")[0].as_py())
-        left, right = np.flatnonzero(i == p), np.flatnonzero(i == q)
-        c = (x[left] @ x[right].T) / (size[left][:, None] * size[right][None, :])
-        u, w = np.nonzero(c >= threshold)
-        a, b = ids[left[u]], ids[right[w]]
-        keep = a < b if p == q else a != b
-        return pa.table({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep]})
-
-    def by_leaf(table: pa.Table) -> pa.Table:
-        return compare(table.to_batches())
-
-    found = dealt.groupBy(*key, "p", "q").applyInArrow(by_leaf, "a long, b long").distinct()
-    return classes, members, cut(found)
+            return none
+        ids, i, copies = (t.column(c).to_numpy() for c in ("id", "i", "copies"))
+        x = _unit(t.column("v"), len(ids))
+        near = x @ x.T >= threshold
+        if t.column("p")[0].as_py() != t.column("q")[0].as_py():
+            near &= i[:, None] != i[None, :]
+        np.fill_diagonal(near, False)
+        near &= near.T
+        u, w = np.nonzero(np.triu(near))
+        new = ~_met_before(t.column("earlier").combine_chunks(), u, w)
+        others = np.bincount(u[new], copies[w[new]], len(ids)) + np.bincount(w[new], copies[u[new]], len(ids))
+        some = near.any(axis=1)
+        return pa.table({"id": ids[some], "others": others[some].astype(np.int64), "least": _least_reached(near, ids)[some]}) if some.any() else none
+
+    found = cut(met.groupBy(*at, "p", "q").applyInArrow(compare, "id long, others long, least long"))
+    return classes, members, found
 
 
 def classes_of(vectors: DataFrame, threshold: float = 0.93, **how) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for each row of vectors (vec_id, label, embedding)."""
     classes, members, found = links(vectors, threshold, **how)
-    copies = classes.select("id", "copies")
-    both = found.unionByName(found.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    linked = both.join(copies.withColumnRenamed("id", "b"), "b").groupBy("a").agg(F.sum("copies").alias("others"))
-    named = components(found.select(F.col("a").alias("src"), F.col("b").alias("dst")))
-    figures = copies.join(linked, F.col("id") == F.col("a"), "left").join(named, F.col("id") == F.col("node"), "left").select("id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "id").alias("component_id"))
-    some = members.join(figures, "id").select("vec_id", "n_links", "component_id")
+    linked = found.groupBy(F.col("id").alias("own")).agg(F.sum("others").alias("others"))
+    named = components(found.filter("id <> least").select(F.col("id").alias("src"), F.col("least").alias("dst")).distinct())
+    figures = classes.select("id", "name", "copies").join(linked, F.col("id") == F.col("own"), "left").join(named, F.col("id") == F.col("node"), "left")
+    figures = cut(figures.select("id", "name", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "id").alias("component")))
+    figures = figures.join(figures.groupBy("component").agg(F.min("name").alias("component_id")), "component")
+    some = members.distinct().join(figures, "id").groupBy(F.col("vec_id").alias("own")).agg(F.sum("n_links").alias("n_links"), F.min("component_id").alias("component_id"))
     every = vectors.select(F.col("vec_id").cast("long").alias("vec_id"))
-    # Rows without a usable vector keep themselves. Ids are unique but for repeated rows, which stay rows.
-    got = every.join(some.distinct(), "vec_id", "left")
+    got = every.join(some, F.col("vec_id") == F.col("own"), "left")
     return got.select("vec_id", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id")).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
