@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,15 +16,22 @@ WORD = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
+SOURCES = 100_000  # rows of a grouping that may be broadcast; more are joined by a shuffle
+BATCH_BYTES = 8 << 20
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share (spark.checkpoint.dir); a local one only where that is unset, as in tests."""
+    """The folder all executors share (spark.checkpoint.dir). Unset, it is a local one if driver and executors are one process
+    (tests), and an error on a cluster."""
     sc = spark.sparkContext
     where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not where:
+        if not sc.master.startswith("local[") and sc.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         where = os.path.join(tempfile.gettempdir(), "rankflow-checkpoints")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(where)
@@ -34,6 +44,41 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a folder through Spark's own file systems."""
+    jvm = spark.sparkContext._jvm
+    where = jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def small(df: DataFrame, rows: int = SOURCES) -> DataFrame:
+    """df with a broadcast hint if it has at most so many rows."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of texts hold BATCH_BYTES at most (a setting of the running session; the default is 64 MB)."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    size = spark.conf.get(key).rstrip("b")
+    if not size.isdigit() or int(size) > BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
+
+
+def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """run, which gives unused memory back to the system when its task ends; worker processes live on after a task."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim is not None:
+                trim(0)
+
+    return wrapped
+
+
 def with_unit(hash_hex: F.Column) -> F.Column:
     """A number in (0, 1) from the first 13 hex digits of a digest; the same in any engine with md5 or sha256."""
     return (F.conv(F.substring(hash_hex, 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(float(1 << 52))

@@ -10,8 +10,9 @@ Documents with equal sets are one class, so copies never become pairs. Within a
 components; rounds end when they settle little. What is still in different components after that is compared in full, each
 pair in the first bucket it shares, so no link between components is lost.
 
-Nulls and texts without words have no shingles and link with nothing. Repeated rows are copies. Null ids are never a
-component's name if another id is there. Empty tables give empty results; further columns are ignored.
+Nulls and texts without words have no shingles and link with nothing. Repeated rows are copies; rows of one id with different
+texts are documents of their own that share a name. Null ids are never a component's name if another id is there. Very long
+texts are compared whole. Empty tables give empty results; further columns are ignored, and pass through ``survivors``.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, cut
+from .common import components, cut, small_batches, tidy
 
 SAMPLES, BANDED, BANDS, SKETCH = 256, 128, 32, 1024
 FLOOR = 0.55
@@ -123,8 +124,10 @@ def most_different_bits(similarity: float) -> int:
 
 
 def signatures(docs: DataFrame, words: int = 5) -> DataFrame:
-    """(doc_id, n_shingles, set1, set2, bands, sketch): set1 and set2 name the set; bands are hashes of (band, samples)."""
+    """(doc_id, mark, n_shingles, set1, set2, bands, sketch): mark is a hash of the text as it is, set1 and set2 name the set,
+    bands are hashes of (band, samples)."""
     id_type = docs.schema["doc_id"].dataType.simpleString()
+    small_batches(docs.sparkSession)
 
     def run(batches):
         shingle, (mul, add) = Shingles(words), _family()
@@ -132,7 +135,7 @@ def signatures(docs: DataFrame, words: int = 5) -> DataFrame:
         with np.errstate(over="ignore"):
             for b in batches:
                 sizes, one, two, bands, sketches = [], [], [], [], []
-                for s in shingle(b.column(1)):
+                for s in shingle(b.column(2)):
                     sizes.append(len(s))
                     one.append(int(np.bitwise_xor.reduce(_mix(s * _MUL)).view(np.int64)) if len(s) else None)
                     two.append(int(np.add.reduce(_mix(s + _MUL)).view(np.int64)) if len(s) else None)
@@ -146,9 +149,9 @@ def signatures(docs: DataFrame, words: int = 5) -> DataFrame:
                     else:
                         bands.append(None)
                         sketches.append(None)
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketches, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set1", "set2", "bands", "sketch"])
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sizes, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketches, pa.list_(pa.int64()))], ["doc_id", "mark", "n_shingles", "set1", "set2", "bands", "sketch"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {id_type}, n_shingles long, set1 long, set2 long, bands array<long>, sketch array<long>")
+    return docs.select("doc_id", F.xxhash64("text").alias("mark"), "text").mapInArrow(tidy(run), f"doc_id {id_type}, mark long, n_shingles long, set1 long, set2 long, bands array<long>, sketch array<long>")
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> DataFrame:
@@ -165,7 +168,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> D
                     keep.append(bool(100 * common >= percent * (len(p) + len(q) - common)))
                 yield pa.RecordBatch.from_arrays([x.column(0), x.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
+    return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(tidy(run), "a long, b long")
 
 
 def _against_blocks(live: DataFrame, named: DataFrame, sizes: DataFrame, few: DataFrame, texts: DataFrame, percent: int, words: int, far: int) -> DataFrame:
@@ -209,11 +212,19 @@ def _against_blocks(live: DataFrame, named: DataFrame, sizes: DataFrame, few: Da
     return with_text(meets).cogroup(with_text(members)).applyInArrow(compare, "a long, b long")
 
 
-def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: int = 2, most_rounds: int = 6) -> DataFrame:
+def classes(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of docs (doc_id, text)."""
-    sig = cut(signatures(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), words))
-    reps = sig.filter("set1 is not null and doc_id is not null").groupBy("set1", "set2", "n_shingles").agg(F.min("doc_id").alias("id"), F.min_by(F.struct("bands", "sketch"), "doc_id").alias("s"))
-    reps = cut(reps.select("id", "set1", "set2", F.col("n_shingles").alias("n"), F.col("s.bands").alias("bands"), F.col("s.sketch").alias("sketch")))
+    return _classes(docs, percent, words).drop("mark")
+
+
+def _classes(docs: DataFrame, percent: int, words: int, leader_rounds: int = 2, most_rounds: int = 6) -> DataFrame:
+    """classes and mark, the hash of the row's text."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    sig = cut(signatures(docs, words))
+    # One class for each set, numbered; its name is its smallest doc_id, and the text of that row stands for all of them.
+    reps = sig.filter("set1 is not null and doc_id is not null").groupBy("set1", "set2", "n_shingles").agg(F.min("doc_id").alias("name"), F.min_by(F.struct("bands", "sketch", "mark"), "doc_id").alias("s"))
+    reps = cut(reps.select("name", "set1", "set2", F.col("n_shingles").alias("n"), "s.bands", "s.sketch", "s.mark"))
+    reps = reps.withColumn("id", F.monotonically_increasing_id())  # over checkpointed partitions: the same each time
     rows = reps.select("id", F.posexplode("bands").alias("band", "bucket"))
     shared = rows.groupBy("bucket").agg(F.count("*").alias("members")).filter("members > 1").select("bucket")
     rows = cut(rows.join(shared, "bucket"))
@@ -226,9 +237,9 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
         near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (differing <= far)
         return both.filter(near).select("a", "b")
 
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
-    wanted = cut(rows.select("id").distinct())
-    texts = cut(texts.join(wanted, "id", "left_semi").dropDuplicates(["id"]))
+    wanted = reps.join(rows.select("id").distinct(), "id", "left_semi").select("id", F.col("name").alias("doc_id"), "mark")
+    texts = docs.withColumn("mark", F.xxhash64("text")).join(cut(wanted), ["doc_id", "mark"]).select("id", "text")
+    texts = cut(texts.dropDuplicates(["id"]))
 
     def leaders(live: DataFrame, turn: int) -> DataFrame:
         order = F.col("id") if turn == 0 else F.xxhash64("id", F.lit(turn))
@@ -255,20 +266,29 @@ def classes(docs: DataFrame, percent: int = 75, words: int = 5, leader_rounds: i
     sizes = named.groupBy(F.col("component").alias("c")).agg(F.count("*").alias("size")).filter(F.col("size") >= LARGE)
     live = cut(live.join(sizes, "c", "left").withColumn("blocks", F.ceil(F.col("size") / BLOCK)).drop("size"))
     against = _against_blocks(live, named, sizes, few, texts, percent, words, far)
-    known = live.filter("blocks is null").join(reps.select("id", "n", "bands", "sketch"), "id").select("bucket", "band", "id", "c", "n", "bands", "sketch")
-    x, y = (known.select("bucket", *[F.col(c).alias(f"{c}_{t}") for c in ("band", "id", "c", "n", "bands", "sketch")]) for t in "xy")
+    known = live.filter("blocks is null").select("bucket", "band", "id", "c")
+    many = known.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
+    known = known.join(many, "bucket").join(reps.select("id", "n", "bands", "sketch"), "id").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
+    # A bucket is cut into parts; the members of parts i and j meet under (lesser, greater), so a hot bucket is many small joins.
+    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("other")
+    known = known.select("bucket", "band", "id", "c", "n", "bands", "sketch", "part", other).withColumns({"lo": F.least("part", "other"), "hi": F.greatest("part", "other")})
+    x, y = (known.select("bucket", "lo", "hi", *[F.col(c).alias(f"{c}_{t}") for c in ("band", "id", "c", "n", "bands", "sketch", "part")]) for t in "xy")
     bits = sum((F.bit_count(F.col("sketch_x")[k].bitwiseXOR(F.col("sketch_y")[k])) for k in range(SKETCH // 64)), F.lit(0))
     near = (F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")) & (bits <= far)
+    once = (F.col("part_x") != F.col("part_y")) | (x["lo"] == x["hi"])
     earlier = F.zip_with(F.slice("bands_x", F.lit(1), F.col("band_x")), F.slice("bands_y", F.lit(1), F.col("band_x")), lambda p, q: p == q)
-    rest = x.join(y, (x["bucket"] == y["bucket"]) & near & ~F.exists(earlier, lambda same: same)).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
+    meet = (x["bucket"] == y["bucket"]) & (x["lo"] == y["lo"]) & (x["hi"] == y["hi"])
+    rest = x.join(y, meet & once & near & ~F.exists(earlier, lambda same: same)).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
     named = joined_up(named, confirmed(rest, texts, percent, words).unionByName(against))
-    of_set = reps.select("id", "set1", "set2").join(named, F.col("id") == F.col("node"), "left").select("set1", "set2", F.coalesce("component", "id").alias("component_id"))
-    some = sig.filter("set1 is not null").select("doc_id", "n_shingles", "set1", "set2").join(of_set, ["set1", "set2"], "left").select("doc_id", "n_shingles", "component_id")
-    none = sig.filter("set1 is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+    placed = cut(reps.select("id", "name", "set1", "set2").join(named, F.col("id") == F.col("node"), "left").select("name", "set1", "set2", F.coalesce("component", "id").alias("component")))
+    of_set = placed.join(placed.groupBy("component").agg(F.min("name").alias("component_id")), "component").select("set1", "set2", "component_id")
+    some = sig.filter("set1 is not null").select("doc_id", "mark", "n_shingles", "set1", "set2").join(of_set, ["set1", "set2"], "left").select("doc_id", "mark", "n_shingles", "component_id")
+    none = sig.filter("set1 is null").select("doc_id", "mark", "n_shingles", F.col("doc_id").alias("component_id"))
     return some.unionByName(none).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
 def survivors(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
-    """The rows of docs that stay: one document of each component (the one with the smallest id)."""
-    gone = classes(docs, percent, words).filter("not kept").select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    """The rows of docs that stay: of each component the document with the smallest id; rows without words all stay."""
+    gone = _classes(docs, percent, words).filter("not kept").select("doc_id", "mark").distinct()
+    same = docs["doc_id"].cast("long").eqNullSafe(gone["doc_id"]) & (F.xxhash64(docs["text"]) == gone["mark"])
+    return docs.join(gone, same, "left_anti")
