@@ -15,7 +15,7 @@ from rankflow.llm.common import read, shared_dir
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored 0.3 or more go."""
-    return toxicity.scored(docs, read(spark, sf_dir, "labels")).filter("_toxic = 0").drop("_score", "_toxic")
+    return toxicity.clean(docs, read(spark, sf_dir, "labels"))
 
 
 def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -7,7 +7,8 @@ compared in full, so equal hashes never merge different texts. Spill files live
 with it; a lost executor repeats its task from the shuffle.
 
 Nulls count as empty text, null ids lose to any other id, repeated rows are copies, an empty table gives an empty one,
-and further columns pass through untouched whatever their names (own columns start with ``_g_``).
+and further columns pass through untouched whatever their names. Of rows that tie in id and content any one stays. A very long
+text is one entry of a table, whatever its size.
 """
 
 from __future__ import annotations
@@ -25,6 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import small_batches, tidy
+
 
 class OpenTable:
     """Linear probing over a power-of-two array of entry numbers; an entry is [hash, content, id, count, row]."""
@@ -92,8 +95,10 @@ def _load(f) -> Iterator[list]:
 
 
 def distinct_rows(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", carry: bool = True, table_mb: int = 48) -> DataFrame:
-    """One row per distinct content: the row of the largest id with ``_g_size`` (rows of that content) and ``_g_sha``
-    (SHA-256 of the normalised text). With carry False only id and the two figures. Equal: identical after lower-casing A-Z."""
+    """One row per distinct content: the columns of the row of the largest id as ``_g_0``, ``_g_1``, ... in order, ``_g_size`` (rows
+    of that content) and ``_g_sha`` (SHA-256 of the normalised text). With carry False only the id, as ``_g_0``, and the two figures.
+    Equal: identical after lower-casing A-Z."""
+    small_batches(df.sparkSession)
     keep = df.columns if carry else [id_col]
     fields = [df.schema[c] for c in keep]
     limit, has_text = table_mb << 20, text_col in keep
@@ -153,19 +158,18 @@ def distinct_rows(df: DataFrame, text_col: str = "text", id_col: str = "doc_id",
             yield from chunks(((*e[4], e[3], hashlib.sha256(e[1]).hexdigest()) for e in grace(rows(), limit, folder)), outer_arrow)
 
     slim = df.select(*[F.col(f"`{c}`").alias(f"_g_{i}") for i, c in enumerate(keep)], F.col(f"`{text_col}`").alias("_g_text"))
-    dealt = slim.mapInArrow(combine, inner).repartition("_g_h")
-    found = dealt.mapInArrow(reduce, outer)
-    return found.select(*[F.col(f"_g_{i}").alias(c) for i, c in enumerate(keep)], "_g_size", "_g_sha")
+    dealt = slim.mapInArrow(tidy(combine), inner).repartition("_g_h")
+    return dealt.mapInArrow(tidy(reduce), outer)
 
 
 def survivors(df: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """The rows that stay, all columns of df, one per distinct content."""
-    return distinct_rows(df, text_col, id_col).select(*[F.col(f"`{c}`") for c in df.columns])
+    return distinct_rows(df, text_col, id_col).select(*[F.col(f"_g_{i}").alias(c) for i, c in enumerate(df.columns)])
 
 
 def groups(df: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """One row per row of df: id, keep_id, group_size, kept, text_sha256."""
     lower = F.translate(F.coalesce(F.col(f"`{text_col}`"), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    of = distinct_rows(df, text_col, id_col, carry=False).select(F.col(f"`{id_col}`").alias("keep_id"), F.col("_g_size").alias("group_size"), F.col("_g_sha").alias("text_sha256"))
+    of = distinct_rows(df, text_col, id_col, carry=False).select(F.col("_g_0").alias("keep_id"), F.col("_g_size").alias("group_size"), F.col("_g_sha").alias("text_sha256"))
     mine = df.select(F.col(f"`{id_col}`"), F.sha2(lower, 256).alias("text_sha256"))
     return mine.join(of, "text_sha256").select(id_col, "keep_id", "group_size", F.col(id_col).eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")

@@ -5,8 +5,10 @@ one symbol for other letters, one for all else). The kernel of two texts is the
 root of the product of their sizes. A few hundred training texts are landmarks; their kernel matrix gives Nyström features,
 on which one ridge regression for each language is solved. A batch is scored by two matrix products.
 
-Learns from at most ``sample`` texts, drawn evenly over languages by a hash of doc_id. Texts that are null or have no letter
-are ``und`` with score 0, and so is every text if there is nothing to learn from. Empty tables give empty results.
+Learns from at most ``sample`` texts of at most ``text_chars`` characters, drawn evenly over languages by a hash of doc_id; a
+language that has longer texts only is learnt from its shortest. Texts that are null or have no letter are ``und`` with score 0,
+and so is every text if there is nothing to learn from. Very long texts are classified whole. Of rows that share an id one is
+learnt from; equal texts get equal results, and equal scores the language that sorts first. Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -16,9 +18,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small, small_batches, tidy
+
 SIGNS = 64  # the reduced alphabet with space and other letters
 LANDMARKS = 320
-TEXT_BYTES = 20_000  # longer texts are classified like any other, but not learnt from
 
 
 class Spectrum:
@@ -82,13 +85,15 @@ def _has_letter(text: str) -> bool:
     return any(map(str.isalpha, text[:200])) or any(map(str.isalpha, text))
 
 
-def fit(docs: DataFrame, sample: int = 2000) -> Classifier:
+def fit(docs: DataFrame, sample: int = 2000, text_chars: int = 20_000) -> Classifier:
     """Learns from documents whose crc32(doc_id as text) mod 3 is not 1, and that have a lang."""
-    known = docs.select("doc_id", "text", "lang").filter("lang is not null and text is not null").filter(F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3, F.lit(1)) != 1).filter(F.length("text") <= TEXT_BYTES)
-    sizes = known.groupBy("lang").count()
-    unit = (F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) + 1) * F.col("count")
-    sizes = sizes.orderBy(F.desc("count"), "lang").limit(1000)
-    ids = known.select("doc_id", "lang").join(F.broadcast(sizes), "lang").orderBy(unit, "doc_id").limit(sample).select("doc_id").distinct().collect()
+    known = docs.select("doc_id", "text", "lang").filter("lang is not null and text is not null").filter(F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3, F.lit(1)) != 1)
+    known = known.withColumn("size", F.length("text"))
+    sizes = known.groupBy("lang").agg(F.count_if(F.col("size") <= text_chars).alias("short"), F.min("size").alias("least"))
+    known = known.join(small(sizes), "lang").filter((F.col("size") <= text_chars) | ((F.col("short") == 0) & (F.col("size") == F.col("least"))))
+    # The order statistics of a hash, stretched by a language's size, draw evenly over languages. Doubles, since longs overflow.
+    unit = (F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) + 1).cast("double") * F.greatest("short", F.lit(1)).cast("double")
+    ids = known.select("doc_id", unit.alias("unit")).orderBy("unit", "doc_id").limit(sample).select("doc_id").distinct().collect()
     chosen = docs.sparkSession.createDataFrame([(r[0],) for r in ids], "doc_id long")
     rows = sorted(known.join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).collect(), key=lambda r: r.doc_id)
     if not rows:
@@ -136,4 +141,5 @@ def predict(docs: DataFrame, model: Classifier) -> DataFrame:
             names, scores = model(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {id_type}, lang_pred string, score double")
+    small_batches(docs.sparkSession)
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), f"doc_id {id_type}, lang_pred string, score double")

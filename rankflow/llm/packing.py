@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, small_batches, tidy
 from .tokens import encoder
 
 
@@ -146,7 +146,8 @@ def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, kee
                     rows.append((doc, p // (4 * capacity), p >> 2, len(part) >> 2, zlib.crc32(part)))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (b.column(0).type, pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)] if rows else [pa.array([], t) for t in (b.column(0).type, pa.int32(), pa.int64(), pa.int64(), pa.int64())], ["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {id_type}, piece int, start long, length long, ids_crc32 long")
+    small_batches(docs.sparkSession)
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), f"doc_id {id_type}, piece int, start long, length long, ids_crc32 long")
 
 
 def pack(items: DataFrame, capacity: int, planner: Callable = plan, rows_per_rank: int = 20_000) -> DataFrame:

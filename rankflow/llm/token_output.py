@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import small_batches, tidy
 from .tokens import encoder
 
 MAGIC = b"RFT2"
@@ -268,8 +269,9 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, vocab: int, en
         if held:
             yield block()
 
+    small_batches(docs.sparkSession)
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.md5("text"))
-    blocks = ordered.withColumn("shard", F.spark_partition_id()).mapInArrow(run, "shard int, block int, n_ids long, data binary")
+    blocks = ordered.withColumn("shard", F.spark_partition_id()).mapInArrow(tidy(run), "shard int, block int, n_ids long, data binary")
     blocks.write.mode("overwrite").option("compression", "none").parquet(path)
 
 
@@ -292,7 +294,7 @@ def read_tokens(spark, path: str) -> DataFrame:
                 k = len(doc_ids)
                 yield pa.RecordBatch.from_arrays([pa.array([shard] * k, pa.int32()), pa.array([block] * k, pa.int32()), pa.array(doc_ids, pa.int64()), pa.array(ends - lengths, pa.int64()), pa.array(lengths, pa.int64()), pa.array(crc, pa.int64())], schema=kinds)
 
-    docs = blocks.select("shard", "block", "data").mapInArrow(run, "shard int, block int, doc_id long, at long, n_tokens long, ids_crc32 long")
+    docs = blocks.select("shard", "block", "data").mapInArrow(tidy(run), "shard int, block int, doc_id long, at long, n_tokens long, ids_crc32 long")
     return docs.join(starts, ["shard", "block"]).select("doc_id", (F.col("from") + F.col("at")).alias("start"), "n_tokens", "ids_crc32")
 
 
