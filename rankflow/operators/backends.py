@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from ..plans.compile import Dense, Trigger
-from ..plans.ir import Add, Expr, HStack, Ident, Inv, MatMul, Program, Ref, Scale, Transpose
+from ..plans.ir import Add, Expr, HStack, Ident, Inv, MatMul, Program, Ref, Scale, Transpose, refs
 from . import block, coo
 
 LOCAL_CELLS = 4096 * 4096
@@ -48,7 +48,9 @@ class Local:
         return np.eye(n)
 
     def inv(self, x):
-        return np.linalg.inv(x)
+        from .inverse import checked
+
+        return checked(x)
 
     def hstack(self, parts):
         return np.hstack(parts)
@@ -67,9 +69,10 @@ class CooBackend:
         self.spark = spark
 
     def load(self, m: coo.Coo) -> coo.Coo:
-        return coo.Coo(coo.cut(m.df), m.rows, m.cols)
+        return m if m.tall is not None else coo.settle(m)
 
-    thin = load
+    def thin(self, m: coo.Coo) -> coo.Coo:
+        return coo.settle(m)
 
     def coo(self, x: coo.Coo) -> coo.Coo:
         return x
@@ -107,7 +110,7 @@ class CooBackend:
         return coo.add_outer(m, left, right)
 
     def settle(self, x):
-        return coo.Coo(coo.cut(x.df), x.rows, x.cols)
+        return coo.settle(x)
 
 
 class BlockBackend:
@@ -162,9 +165,10 @@ class BlockBackend:
         return np.eye(n) if n <= 64 else block.identity(self.spark, n)
 
     def inv(self, x):
+        from .inverse import checked, invert
+
         if isinstance(x, np.ndarray):
-            return np.linalg.inv(x)
-        from .inverse import invert
+            return checked(x)
 
         return self.load(invert(block.to_coo(x)))
 
@@ -211,11 +215,16 @@ def evaluate(b, e: Expr, env: dict, memo: dict | None = None):
     return out
 
 
-def run_program(b, program: Program, env: dict) -> dict:
-    """env with all views, computed in order (re-evaluation). Each view is settled, so plans stay short."""
+def run_program(b, program: Program, env: dict, lean: bool = False) -> dict:
+    """env with all views, computed in order (re-evaluation). Each view is settled, so plans stay short. lean: only inputs and
+    outputs stay; a matrix between them goes after its last use, as re-evaluation needs no older step."""
     env = dict(env)
-    for s in program.stmts:
+    last = {name: k for k, s in enumerate(program.stmts) for name in refs(s.expr)}
+    for k, s in enumerate(program.stmts):
         env[s.target] = b.settle(evaluate(b, s.expr, env))
+        if lean:
+            for name in [n for n in env if last.get(n, -1) <= k and n not in program.inputs and n not in program.outputs and n in program.shapes]:
+                del env[name]
     return env
 
 

@@ -1,43 +1,104 @@
 """Matrix operators as plans over COO frames (i long, j long, v double): joins and sums that Catalyst plans itself.
 
-A missing row is a zero. Only an operand whose size, by its declared shape, is within ``BROADCAST_BYTES`` is broadcast;
-otherwise the join is left to Spark (shuffled, skew split by AQE).
+A missing row is a zero. Only an operand whose size is within ``BROADCAST_BYTES`` is broadcast, by its number of cells where
+that is known and by its declared shape otherwise; beyond it the join is left to Spark (shuffled, skew split by AQE).
+
+A large matrix that changes by thin factors keeps them in a log beside its cells: products with thin operands read the log, so
+a refresh moves nothing of the matrix; the log is added up once its rank is over ``LOG_RANK``. A tall matrix made from the
+columns of a table keeps that table, and its products over the rows are summed by partition in one pass.
 """
 
 from __future__ import annotations
 
 import os
 import tempfile
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 BROADCAST_BYTES = 64 << 20
+LOCAL_BYTES = 1 << 20  # a settled matrix of at most so many bytes is kept in the plan itself
+LOG_RANK = 64
+TALL_COLS = 1024  # columns up to which products over the rows are summed by partition
 CELL = 24
 SCHEMA = "i long, j long, v double"
 
 
 @dataclass(frozen=True)
-class Coo:
+class Tall:
+    """The table behind a tall matrix: a row of ``df`` is a matrix row, its columns in order."""
+
     df: DataFrame
+    row_id: str
+    columns: tuple[str, ...]
+
+
+@dataclass(frozen=True)
+class Coo:
+    """base + sum of L @ R.T over the log. cells: an upper bound of base's cells, if known."""
+
+    base: DataFrame
     rows: int
     cols: int
+    cells: int | None = None
+    log: tuple[tuple[Coo, Coo], ...] = ()
+    tall: Tall | None = None
 
     @property
     def bytes(self) -> int:
-        return CELL * self.rows * self.cols
+        return CELL * (self.rows * self.cols if self.cells is None or self.log else min(self.cells, self.rows * self.cols))
+
+    @property
+    def df(self) -> DataFrame:
+        """All cells, with the log added up."""
+        out = self.base
+        for left, right in self.log:
+            out = _sum(out, mul(left, transpose(right)).df)
+        return out
+
+    @property
+    def rank(self) -> int:
+        return sum(left.cols for left, _ in self.log)
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; a local folder only where that is unset and all runs in one process."""
+    sc = spark.sparkContext
+    where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
+    if not where:
+        if not sc.master.startswith("local[") and sc.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        where = os.path.join(tempfile.gettempdir(), "rankflow-checkpoints")
+    if not sc.getCheckpointDir():
+        sc.setCheckpointDir(where)
+    return where
 
 
 def cut(df: DataFrame) -> DataFrame:
     """Reliable checkpoint in the session's shared folder."""
-    sc = df.sparkSession.sparkContext
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or os.path.join(tempfile.gettempdir(), "rankflow-checkpoints"))
+    shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def settle(m: Coo) -> Coo:
+    """m computed: small ones become rows of the plan (their size is checked), large ones a checkpoint; a log stays a log."""
+    if m.log:
+        return replace(m, log=tuple((settle(a), settle(b)) for a, b in m.log))
+    if m.bytes <= LOCAL_BYTES:
+        t = m.df.select("i", "j", "v").toArrow()
+        spark = m.base.sparkSession
+        return Coo(spark.createDataFrame(t, schema=SCHEMA) if t.num_rows else spark.createDataFrame([], SCHEMA), m.rows, m.cols, t.num_rows)
+    df = cut(m.df)
+    return Coo(df, m.rows, m.cols, df.count())
+
+
+def _sum(x: DataFrame, y: DataFrame) -> DataFrame:
+    return x.unionByName(y).groupBy("i", "j").agg(F.sum("v").alias("v")).filter("v <> 0")
+
+
 def clean(df: DataFrame, rows: int, cols: int) -> Coo:
     """COO from any (i, j, v): cells of one place are added, -0.0 and zeros go. Null, NaN or infinite cells are an error."""
     bad = F.col("i").isNull() | F.col("j").isNull() | F.col("v").isNull() | F.isnan(F.col("v").cast("double")) | (F.abs(F.col("v").cast("double")) == float("inf")) | (F.col("i") < 0) | (F.col("i") >= rows) | (F.col("j") < 0) | (F.col("j") >= cols)
@@ -50,19 +111,28 @@ def _hint(m: Coo, df: DataFrame) -> DataFrame:
 
 
 def mul(a: Coo, b: Coo) -> Coo:
-    """a @ b: join on the inner index, sum by cell."""
+    """a @ b: join on the inner index, sum by cell. With a thin b a's log is read as it is."""
+    if a.log and b.cols <= LOG_RANK:
+        out = mul(replace(a, log=()), b)
+        for left, right in a.log:
+            out = add(out, mul(left, mul(transpose(right), b)))
+        return out
+    if b.log and a.rows <= LOG_RANK:
+        return transpose(mul(transpose(b), transpose(a)))
     x, y = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x")), b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
     x, y = (x, _hint(b, y)) if b.bytes <= a.bytes else (_hint(a, x), y)
     return Coo(x.join(y, "k").groupBy("i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("v")).filter("v <> 0"), a.rows, b.cols)
 
 
 def tmul(a: Coo, b: Coo) -> Coo:
-    """a.T @ b without a transposed copy."""
+    """a.T @ b without a transposed copy; over the rows of one table where both sides come from it."""
+    if a.tall is not None and b.tall is not None and a.tall.df is b.tall.df and a.cols + b.cols <= TALL_COLS:
+        return gram(a, b)
     return mul(transpose(a), b)
 
 
 def transpose(a: Coo) -> Coo:
-    return Coo(a.df.select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), a.cols, a.rows)
+    return Coo(a.base.select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), a.cols, a.rows, a.cells, tuple((right, left) for left, right in a.log))
 
 
 def add(a: Coo, b: Coo, sign: float = 1.0) -> Coo:
@@ -96,8 +166,11 @@ def piece(a: Coo, rows: tuple[int, int], cols: tuple[int, int]) -> Coo:
 
 
 def add_outer(m: Coo, left: Coo, right: Coo) -> Coo:
-    """m + left @ right.T"""
-    return add(m, mul(left, transpose(right)))
+    """m + left @ right.T. A large m takes the factors into its log, and is only rewritten once that is full."""
+    if m.bytes <= BROADCAST_BYTES:
+        return add(m, mul(left, transpose(right)))
+    logged = replace(m, log=(*m.log, (left, right)))
+    return logged if logged.rank <= LOG_RANK else settle(Coo(logged.df, m.rows, m.cols))
 
 
 def row_normalize(a: Coo) -> Coo:
@@ -123,12 +196,41 @@ def norm(a: Coo) -> float:
 
 
 def gram(a: Coo, b: Coo | None = None) -> Coo:
-    """a.T @ b (b = a if none) by rows: cells of one row meet, sums combine before the shuffle."""
+    """a.T @ b (b = a if none). From one table: partial products by partition, then one sum of a.cols x b.cols cells; logs enter
+    as thin products. Otherwise cells of one row meet, and sums combine before the shuffle."""
     b = b or a
+    if a.tall is not None and b.tall is not None and a.tall.df is b.tall.df and a.cols + b.cols <= TALL_COLS:
+        out = _partial_products(a.tall, b.tall)
+        x, y = replace(a, log=(), tall=None), replace(b, log=(), tall=None)
+        for u, v in a.log:
+            out = add(out, mul(v, mul(transpose(u), y)))
+        for u, v in b.log:
+            out = add(out, mul(mul(transpose(x), u), transpose(v)))
+            for p, q in a.log:
+                out = add(out, mul(mul(q, mul(transpose(p), u)), transpose(v)))
+        return out
     x, y = a.df.select(F.col("i").alias("k"), F.col("j").alias("i"), F.col("v").alias("x")), b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
     return Coo(x.join(y, "k").groupBy("i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("v")).filter("v <> 0"), a.cols, b.cols)
 
 
+def _partial_products(a: Tall, b: Tall) -> Coo:
+    n, m, same = len(a.columns), len(b.columns), a.columns == b.columns
+
+    def run(batches):
+        total = np.zeros((n, m))
+        for batch in batches:
+            columns = [c.fill_null(0.0).to_numpy(zero_copy_only=False) for c in batch.columns]
+            x = np.stack(columns[:n], 1)
+            total += x.T @ (x if same else np.stack(columns[n:], 1))
+        i, j = np.nonzero(total)
+        if len(i):
+            yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(total[i, j])], ["i", "j", "v"])
+
+    columns = [F.col(c).cast("double").alias(f"x{k}") for k, c in enumerate((*a.columns, *(() if same else b.columns)))]
+    parts = a.df.select(*columns).mapInArrow(run, SCHEMA)
+    return Coo(parts.groupBy("i", "j").agg(F.sum("v").alias("v")).filter("v <> 0"), n, m)
+
+
 def to_numpy(a: Coo, max_cells: int = 1 << 24) -> np.ndarray:
     if a.rows * a.cols > max_cells:
         raise MemoryError(f"{a.rows} x {a.cols} cells are more than {max_cells}")
@@ -139,8 +241,6 @@ def to_numpy(a: Coo, max_cells: int = 1 << 24) -> np.ndarray:
 
 
 def from_numpy(spark: SparkSession, x: np.ndarray) -> Coo:
-    import pyarrow as pa
-
     i, j = np.nonzero(x)
     t = pa.table({"i": i.astype(np.int64), "j": j.astype(np.int64), "v": x[i, j].astype(np.float64)})
-    return Coo(spark.createDataFrame(t, schema=SCHEMA) if len(i) else spark.createDataFrame([], SCHEMA), *x.shape)
+    return Coo(spark.createDataFrame(t, schema=SCHEMA) if len(i) else spark.createDataFrame([], SCHEMA), *x.shape, len(i))

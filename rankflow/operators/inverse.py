@@ -14,14 +14,18 @@ class Singular(ArithmeticError):
     """The changed matrix has no inverse to the given tolerance."""
 
 
+def checked(x: np.ndarray, tol: float = 1e-12) -> np.ndarray:
+    """Inverse of a small matrix; Singular where its smallest singular value is under tol of the largest."""
+    d = np.linalg.svd(x, compute_uv=False)
+    if len(d) and not d.min() > tol * d.max():
+        raise Singular(f"singular values from {d.max():g} to {d.min():g}")
+    return np.linalg.inv(x)
+
+
 def invert(m: coo.Coo, local_side: int = LOCAL_SIDE) -> coo.Coo:
     n = m.rows
     if n <= local_side:
-        x = coo.to_numpy(m)
-        try:
-            return coo.from_numpy(m.df.sparkSession, np.linalg.inv(x))
-        except np.linalg.LinAlgError as e:
-            raise Singular(str(e)) from e
+        return coo.from_numpy(m.df.sparkSession, checked(coo.to_numpy(m)))
     h = n // 2
     a, b, c, d = (coo.piece(m, r, q) for r in ((0, h), (h, n)) for q in ((0, h), (h, n)))
     settle = lambda x: coo.Coo(coo.cut(x.df), x.rows, x.cols)

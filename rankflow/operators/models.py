@@ -8,10 +8,13 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 
+from ..plans import cost
 from ..plans.compile import compile_program
 from ..plans.ir import Expr, Ident, Program, Ref, Stmt
+from ..plans.rewrite import choose_aux
 from . import backends
 from .coo import Coo
+from .inverse import Singular
 
 STRATEGIES = ("reeval", "incr", "dense_delta", "hybrid")
 
@@ -84,15 +87,22 @@ class RefreshReport:
 class View:
     """A program's views, preloaded. ``apply`` brings them up to date after a change of an input."""
 
-    def __init__(self, backend, program: Program, inputs: dict[str, Coo], strategy: str = "incr", merge: bool = True, stack: bool = True):
-        if strategy not in STRATEGIES:
+    def __init__(self, backend, program: Program, inputs: dict[str, Coo], strategy: str = "incr", merge: bool = True, stack: bool = True, chain: bool = False, aux: bool = False, lean: bool = False):
+        """aux: products inside statements become views of their own first. chain: see ``compile_program``. lean: a view that is
+        re-evaluated holds only inputs and outputs between refreshes, since it needs no older step."""
+        if strategy not in (*STRATEGIES, "auto"):
             raise ValueError(f"no strategy {strategy}")
-        self.backend, self.program, self.strategy, self.merge, self.stack = backend, program, strategy, merge, stack
+        if strategy == "auto":
+            strategy = cost.cheapest(program)
+        program = choose_aux(program) if aux else program
+        self.backend, self.program, self.strategy, self.merge, self.stack, self.chain = backend, program, strategy, merge, stack, chain
+        self.lean = lean and strategy == "reeval"
+        self.fallbacks = 0  # refreshes that met a singular small system and computed the views anew
         given = {k: backend.load(v) for k, v in inputs.items()}
         for name, want in program.inputs.items():
             if backend.shape(given[name]) != tuple(want):
                 raise ValueError(f"{name} is {backend.shape(given[name])}, declared {want}")
-        self.env = backends.run_program(backend, program, given)
+        self.env = backends.run_program(backend, program, given, lean=self.lean)
         self.version, self.ranks = 0, {}
 
     def apply(self, name: str | dict, left: Coo | None = None, right: Coo | None = None) -> RefreshReport:
@@ -105,19 +115,52 @@ class View:
                 raise ValueError(f"{k} is static")
         factors = {k: (b.thin(a), b.thin(c)) for k, (a, c) in changes.items()}
         if self.strategy == "reeval":
-            base = {k: self.env[k] for k in self.program.inputs}
-            for k, (a, c) in factors.items():
-                base[k] = b.settle(b.add_outer(base[k], a, c))
-            self.env = backends.run_program(b, self.program, base)
+            self._again(factors)
         else:
-            trigger = next(iter(compile_program(self.program, ranks, self.merge, self.stack, self.strategy == "dense_delta", together=True).values()))
-            self.env = backends.run_trigger(b, trigger, self.env, factors)
-            self.ranks = trigger.ranks
+            trigger = next(iter(compile_program(self.program, ranks, self.merge, self.stack, self.strategy == "dense_delta", together=True, chain=self.chain).values()))
+            try:
+                self.env = backends.run_trigger(b, trigger, self.env, factors)
+                self.ranks = trigger.ranks
+            except Singular:  # the change has no inverse on the way, though the changed matrix may have one
+                self.fallbacks += 1
+                self._again(factors)
         self.version += 1
         return RefreshReport(1000 * (time.perf_counter() - began), dict(self.ranks), self.view_bytes(), self.version)
 
+    def _again(self, factors: dict[str, tuple]) -> None:
+        """Re-evaluation: changed inputs, then every statement."""
+        b, base = self.backend, {k: self.env[k] for k in self.program.inputs}
+        for k, (left, right) in factors.items():
+            base[k] = b.settle(b.add_outer(base[k], left, right))
+        self.env = backends.run_program(b, self.program, base, lean=self.lean)
+
+    def apply_full(self, name: str, change: Coo) -> RefreshReport:
+        """A change without thin factors: added to the input, and everything after it computed again."""
+        began, b = time.perf_counter(), self.backend
+        self.restore({name: b.coo(b.add(self.env[name], b.load(change)))})
+        return RefreshReport(1000 * (time.perf_counter() - began), {}, self.view_bytes(), self.version)
+
+    def apply_batch(self, name: str, updates: DataFrame, most: float = 0.25) -> RefreshReport:
+        """Cell changes (i, j, v): by factors while their rank is under that share of the smaller side, else as a full change."""
+        from ..sources.updates import TooWide, compact, dense
+
+        rows, cols = self.program.inputs[name]
+        try:
+            left, right, rank = compact(updates, rows, cols, max(1, int(min(most * min(rows, cols), 100_000))))
+        except TooWide:
+            return self.apply_full(name, dense(updates, rows, cols))
+        return self.apply(name, left, right) if rank else RefreshReport(0.0, {}, self.view_bytes(), self.version)
+
+    def restore(self, inputs: dict[str, Coo]) -> None:
+        """Puts inputs in place of the present ones and computes all views again."""
+        b = self.backend
+        base = {k: b.load(inputs[k]) if k in inputs else self.env[k] for k in self.program.inputs}
+        self.env = backends.run_program(b, self.program, base, lean=self.lean)
+        self.version += 1
+
     def view_bytes(self, copies: int = 1) -> int:
-        return sum(8 * n * m * copies for n, m in self.program.shapes.values())
+        """Bytes of the matrices that the view holds between refreshes, as dense doubles."""
+        return sum(8 * n * m * copies for name, (n, m) in self.program.shapes.items() if name in self.env)
 
     def frame(self, name: str | None = None) -> DataFrame:
         return backends.frame(self.backend, self.env[name or self.program.outputs[0]])

@@ -23,7 +23,7 @@ def ols(backend, x: Coo, y: Coo, strategy: str = "incr", ridge: float = 0.0) ->
 
 def append(view: View, row: int, x: Coo, y: Coo) -> None:
     """A new observation: row ``row`` of X and Y, zero so far, becomes x' and y' (one column each). Both change at once."""
-    left = Coo(x.df.sparkSession.createDataFrame([(row, 0, 1.0)], coo.SCHEMA), view.program.inputs["X"][0], 1)
+    left = Coo(x.df.sparkSession.createDataFrame([(row, 0, 1.0)], coo.SCHEMA), view.program.inputs["X"][0], 1, 1)
     view.apply({"X": (left, x), "Y": (left, y)})
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..operators.coo import Coo, cut
+from ..operators.coo import Coo, Tall, cut
 
 NATIONS = 25
 TALL = 1 << 50  # declared height of matrices whose row ids are only unique
@@ -21,15 +21,18 @@ def crosstab(df: DataFrame, i: Column, j: Column, v: Column, rows: int, cols: in
     return Coo(cells.filter("v <> 0"), rows, cols)
 
 
-def from_rows(df: DataFrame, row_id: str, columns: list[str]) -> Coo:
-    """One row of df is one matrix row; columns in order."""
+def from_rows(df: DataFrame, row_id: str, columns: list[str], rows: int = TALL) -> Coo:
+    """One row of df is one matrix row; columns in order. Nulls count as zeros. df is kept behind the matrix, so it should be
+    cheap to read again (a table, or a checkpoint), with ids that stay the same."""
     cells = df.select(F.col(row_id).cast("long").alias("i"), F.posexplode(F.array(*[F.col(c).cast("double") for c in columns])).alias("j", "v"))
-    return Coo(cells.select("i", F.col("j").cast("long").alias("j"), (F.col("v") + 0.0).alias("v")).filter("v <> 0"), TALL, len(columns))
+    cells = cells.select("i", F.col("j").cast("long").alias("j"), (F.col("v") + 0.0).alias("v")).filter("v <> 0")
+    return Coo(cells, rows, len(columns), tall=Tall(df, row_id, tuple(columns)))
 
 
-def from_array_column(df: DataFrame, row_id: str, column: str, cols: int) -> Coo:
-    cells = df.select(F.col(row_id).cast("long").alias("i"), F.posexplode(column).alias("j", "v"))
-    return Coo(cells.select("i", F.col("j").cast("long").alias("j"), F.col("v").cast("double").alias("v")).filter("v <> 0"), TALL, cols)
+def from_array_column(df: DataFrame, row_id: str, column: str, cols: int, rows: int = TALL) -> Coo:
+    """One row of df is one matrix row, its cells an array."""
+    wide = df.select(row_id, *[F.get(F.col(column), F.lit(k)).cast("double").alias(f"_{k}") for k in range(cols)])
+    return from_rows(wide, row_id, [f"_{k}" for k in range(cols)], rows)
 
 
 def to_wide(m: Coo, names: list[str]) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators.models import View
 from ..sources.updates import compact
+from .store import ViewStore
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) -> DataFrame:
@@ -19,17 +20,28 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) ->
 
 
 class Refresher:
-    """foreachBatch sink: additive cell changes (i, j, v) of one input. A batch id seen before is left out, so a replay after
-    a restart changes nothing; late changes are only applied later, since additions commute."""
+    """foreachBatch sink: additive cell changes (i, j, v) of one input. Late changes are only applied later, since additions
+    commute.
 
-    def __init__(self, view: View, name: str):
-        self.view, self.name, self.done, self.ranks = view, name, -1, []
+    With a store a batch's factors and its id are committed before the view changes, and a new Refresher takes the input from
+    the store, so that a restart behind the stream's checkpoint loses nothing and a replayed batch changes nothing. Without one
+    the ids are kept in memory, for streams that end with the process."""
+
+    def __init__(self, view: View, name: str, store: ViewStore | None = None):
+        self.view, self.name, self.store, self.done, self.ranks = view, name, store, -1, []
+        if store is not None and store.has(name):
+            view.restore({name: store.get(name)})
+            self.done = store.batch(name)
+        elif store is not None:
+            store.put(name, view.backend.coo(view.env[name]))
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.done:
             return
         rows, cols = self.view.program.inputs[self.name]
         left, right, rank = compact(batch, rows, cols)
+        if rank and self.store is not None:
+            self.store.add(self.name, left, right, batch=batch_id)
         if rank:
             self.view.apply(self.name, left, right)
         self.ranks.append(rank)

@@ -40,11 +40,14 @@ class ViewStore:
         old = self._meta(name)
         self._commit(name, {"version": (old or {"version": -1})["version"] + 1, "rows": m.rows, "cols": m.cols, "base": self._write(name, m), "log": []})
 
-    def add(self, name: str, left: Coo, right: Coo, source: str | None = None) -> int:
-        """Appends a change; one named by a source that is already there is left out. Gives the version."""
+    def add(self, name: str, left: Coo, right: Coo, source: str | None = None, batch: int | None = None) -> int:
+        """Appends a change; one named by a source that is already there, or of a batch up to the last one, is left out. Gives the
+        version."""
         meta = self._meta(name)
-        if source is not None and source in meta.get("sources", []):
+        if source is not None and source in meta.get("sources", []) or batch is not None and batch <= meta.get("batch", -1):
             return meta["version"]
+        if batch is not None:
+            meta["batch"] = batch
         log = [*meta["log"], [self._write(name, left), self._write(name, right), left.cols]]
         meta |= {"version": meta["version"] + 1, "log": log, "sources": [*meta.get("sources", []), *([source] if source is not None else [])]}
         if sum(r for *_, r in log) > self.max_rank:
@@ -74,6 +77,13 @@ class ViewStore:
             out = coo.add(out, coo.mul(self._read(a, meta["rows"], r), coo.tmul(self._read(b, meta["cols"], r), x)))
         return out
 
+    def has(self, name: str) -> bool:
+        return self._meta(name) is not None
+
+    def batch(self, name: str) -> int:
+        """The last batch that was added, or -1."""
+        return self._meta(name).get("batch", -1)
+
     def version(self, name: str) -> int:
         return self._meta(name)["version"]
 
