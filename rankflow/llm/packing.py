@@ -1,19 +1,25 @@
 """Best-fit packing by bin completion with branch and bound, on the histogram of piece lengths.
 
 Only lengths matter to a packing, and there are at most ``capacity`` of them, so the driver plans with counts: a list of
-(filling, how often). Best-fit decreasing gives the incumbent. A search then completes the bin of the largest piece left
-with undominated fillings in order of waste, each as often as the counts allow, and drops branches whose bins so far and
-remaining volume can't beat the incumbent. It stops at the lower bound or after ``node_budget`` fillings; either way all
-pieces are placed. Pieces are numbered within their length by two-level counts and find their place by one search in the
-plan, which stays under a few times ``capacity`` entries however many rows there are.
+(filling, how often). Best-fit decreasing gives the first incumbent. The search is depth first with undo: it completes the bin
+of the largest piece left with the undominated fillings in order of waste, each as often as the counts allow and then, as a
+branch of its own, once; and it turns back where bins so far and remaining volume can't beat the incumbent, that is where the
+waste is over what a better packing may waste. A filling is dominated if a longer piece fits in place of one of its pieces, or
+a single one in place of two. The search ends at the lower bound, when all branches are done (both prove the result), or
+after ``nodes`` steps, a number that grows with the distinct lengths; either way all pieces are placed. Pieces are numbered
+within their length by two-level counts and find their place by one search in the plan, which stays under a few times
+``capacity`` entries however many rows there are.
 
-Null or empty texts are the end id alone; equal or repeated rows are separate pieces; an empty table gives an empty one.
+Null or empty texts are the end id alone; equal or repeated rows are separate pieces, and which of equal pieces goes where is
+open; a very long text is cut into many pieces, worked on by one task; an empty table gives an empty one. Only doc_id and text
+are read, so further columns can't clash.
 """
 
 from __future__ import annotations
 
 import zlib
 from collections.abc import Callable
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -58,76 +64,124 @@ def best_fit(counts: np.ndarray, capacity: int) -> list[tuple[dict, int]]:
     return [(f, n) for stack in room.values() for f, n in stack if f]
 
 
-def completions(counts: np.ndarray, capacity: int, width: int, effort: int = 400) -> list[dict]:
-    """Up to width undominated fillings around the largest piece left, least waste first.
+def dominated(filling: tuple[int, ...], room: int, left: np.ndarray, sizes: np.ndarray) -> bool:
+    """Whether a piece not in the filling fits in place of a shorter one of its pieces (but the first), or of two of them."""
 
-    Depth first over lengths from large to small; a filling is kept if nothing that is left over would still fit, which
-    drops fillings that another contains, and one whose pieces are each no larger than another's of equal number goes too."""
-    sizes = np.flatnonzero(counts)
+    def spare(low: int, high: int) -> bool:
+        for s in sizes[np.searchsorted(sizes, low) : np.searchsorted(sizes, high, "right")]:
+            if left[s] > filling.count(int(s)):
+                return True
+        return False
+
+    rest = filling[1:]
+    if room and any(spare(s + 1, s + room) for s in set(rest)):
+        return True
+    return any(spare(s + t, s + t + room) for s, t in set(combinations(rest, 2)))
+
+
+def fillings(left: np.ndarray, capacity: int, width: int, effort: int) -> tuple[list[dict], bool]:
+    """(undominated fillings around the largest piece left, least waste first; whether these are all of them).
+
+    Depth first from long pieces to short ones; where one piece or two fill the room exactly that is tried first. Ends after
+    ``width`` fillings without waste or ``effort`` steps."""
+    sizes = np.flatnonzero(left)
     top = int(sizes[-1])
-    found, steps = {}, 0
-    stack = [((top,), capacity - top)]
-    while stack and steps < effort:
-        steps += 1
-        chosen, room = stack.pop()
-        last = chosen[-1] if len(chosen) > 1 else capacity
-        at = int(np.searchsorted(sizes, min(last, room), "right"))
-        nexts = [int(s) for s in sizes[max(0, at - 3) : at] if counts[s] > chosen.count(int(s))]
-        half = room - int(sizes[0])
-        if half > 0 and room > 2 * int(sizes[0]):  # a pair that fills the room exactly, if its larger piece is near half
-            for s in sizes[np.searchsorted(sizes, room // 2, "left") :][:3]:
-                if s <= min(last, room) and room - s < len(counts) and counts[room - s] and int(s) not in nexts:
-                    nexts.insert(0, int(s))
-        nexts = [s for s in nexts if counts[s] > chosen.count(s)]
-        if not nexts:
-            found.setdefault(chosen, room)
-            if room == 0 and len(found) >= width:
-                break
-            continue
-        stack += [((*chosen, s), room - s) for s in nexts]
-    while stack and not found:  # out of effort: finish the best branch greedily
-        chosen, room = stack.pop()
-        for s in sizes[::-1]:
-            while s <= room and counts[s] > chosen.count(int(s)):
-                chosen, room = (*chosen, int(s)), room - int(s)
+    found: dict[tuple[int, ...], int] = {}
+
+    def have(chosen: tuple[int, ...], *more: int) -> bool:
+        return all(left[s] >= (*chosen, *more).count(s) for s in more)
+
+    def put(chosen: tuple[int, ...], room: int) -> None:
+        chosen = (top, *sorted(chosen[1:], reverse=True))
+        if chosen not in found and not dominated(chosen, room, left, sizes):
+            found[chosen] = room
+
+    def enter(chosen: tuple[int, ...], room: int) -> None:
+        longest = min(chosen[-1], room)
+        if room and room <= chosen[-1] and have(chosen, room):
+            put((*chosen, room), 0)
+        elif room > 1:
+            firsts = sizes[np.searchsorted(sizes, (room + 1) // 2) : np.searchsorted(sizes, min(longest, room - 1), "right")]
+            pairs = firsts[left[room - firsts] > 0][::-1] if len(firsts) else firsts
+            for s in pairs[:width].tolist():
+                if have(chosen, s, room - s):
+                    put((*chosen, s, room - s), 0)
+        at = int(np.searchsorted(sizes, longest, "right")) - 1
+        fits = False
+        if at >= 0:
+            stack.append((chosen, room, at))
+            fits = any(have(chosen, int(s)) for s in sizes[: at + 1][::-1][: len(chosen) + 1])
+        if not fits:
+            put(chosen, room)
+
+    stack: list[tuple[tuple[int, ...], int, int]] = []
+    enter((top,), capacity - top)
+    steps = 0
+    while stack and steps < effort and sum(not w for w in found.values()) < width:
+        chosen, room, at = stack.pop()
+        if at > 0:
+            stack.append((chosen, room, at - 1))
+        s = int(sizes[at])
+        if have(chosen, s):
+            steps += 1
+            enter((*chosen, s), room - s)
+    whole = not stack
+    if not found:  # out of effort before any filling was whole: first fit
+        chosen, room = (top,), capacity - top
+        for s in sizes[::-1].tolist():
+            while s <= room and have(chosen, s):
+                chosen, room = (*chosen, s), room - s
         found[chosen] = room
-    ranked = sorted(found.items(), key=lambda x: (x[1], len(x[0]), [-s for s in x[0]]))
-    out = []
-    for chosen, _ in ranked:
-        if not any(len(o) == len(chosen) and all(a >= b for a, b in zip(o, chosen, strict=True)) for o in out):
-            out.append(chosen)
-        if len(out) == width:
-            break
-    return [{s: c.count(s) for s in dict.fromkeys(c)} for c in out]
-
-
-def plan(counts: np.ndarray, capacity: int, node_budget: int = 6000, width: int = 3) -> list[tuple[dict, int]]:
-    """Fillings and how often each is used; together they hold exactly counts[length] pieces of each length."""
-    counts = counts.astype(np.int64).copy()
-    counts[0] = 0
-    best = best_fit(counts, capacity)
-    used, bound = sum(n for _, n in best), lower_bound(counts, capacity)
-    volume = np.arange(len(counts))
-    nodes = 0
-    # Limited discrepancy: all first choices, then one second choice at each of the first places, and so on.
-    for turn in [(), *[(p, c) for p in range(24) for c in range(1, width)]]:
-        if used <= bound or nodes >= node_budget:
-            break
-        left, bins, path, depth = counts.copy(), 0, [], 0
-        while left.any() and nodes < node_budget:
-            nodes += 1
-            if bins + -(-int((volume * left).sum()) // capacity) >= used:
-                break
-            options = completions(left, capacity, width)
-            filling = options[turn[1]] if turn and depth == turn[0] and turn[1] < len(options) else options[0]
-            n = min(int(left[s]) // k for s, k in filling.items())
+    order = sorted(found, key=lambda c: (found[c], len(c), [-s for s in c]))
+    return [{s: c.count(s) for s in dict.fromkeys(c)} for c in order[: None if whole else 2 * width]], whole
+
+
+def search(counts: np.ndarray, capacity: int, nodes: int | None = None, width: int = 3, effort: int = 120) -> tuple[list[tuple[dict, int]], bool]:
+    """(plan, whether it is proved to have the fewest bins). The plan: fillings and how often each is used; together they hold
+    exactly counts[length] pieces of each length."""
+    left = counts.astype(np.int64).copy()
+    left[0] = 0
+    best = best_fit(left, capacity)
+    used, bound = sum(n for _, n in best), lower_bound(left, capacity)
+    nodes = 1000 + 3 * int(np.count_nonzero(left)) // 2 if nodes is None else nodes
+    volume, bins, whole = int((np.arange(len(left)) * left).sum()), 0, True
+    path: list[tuple[dict, int]] = []
+    branches: list[list[tuple[dict, int]]] = []  # what is still to be tried, for each depth
+    while used > bound:
+        if not volume:
+            if bins < used:
+                best, used = list(path), bins
+        elif bins + -(-volume // capacity) < used:
+            if nodes <= 0:
+                return best, False
+            nodes -= 1
+            options, all_ = fillings(left, capacity, width, effort)
+            whole &= all_
+            often = [min(int(left[s]) // k for s, k in f.items()) for f in options]
+            branches.append([*((f, 1) for f, n in zip(options, often, strict=True) if n > 1), *reversed(list(zip(options, often, strict=True)))])
+            path.append(({}, 0))
+        while branches:  # to the next branch, from the deepest
+            filling, n = path.pop()
             for s, k in filling.items():
-                left[s] -= n * k
-            bins, depth = bins + n, depth + 1
-            path.append((filling, n))
-        if not left.any() and bins < used:
-            best, used = path, bins
-    return best
+                left[s] += n * k
+                volume += s * n * k
+            bins -= n
+            if branches[-1]:
+                filling, n = branches[-1].pop()
+                for s, k in filling.items():
+                    left[s] -= n * k
+                    volume -= s * n * k
+                bins += n
+                path.append((filling, n))
+                break
+            branches.pop()
+        else:
+            return best, whole
+    return best, True
+
+
+def plan(counts: np.ndarray, capacity: int, **how) -> list[tuple[dict, int]]:
+    return search(counts, capacity, **how)[0]
 
 
 def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, keeps_space: bool, added_tokens: bool = False) -> DataFrame:

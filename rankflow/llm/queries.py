@@ -81,11 +81,16 @@ free AS (SELECT min(place) AS first_free FROM levels WHERE level <= ratio),
 targets AS (SELECT l.source, l.source_size, CASE WHEN l.place < first_free THEN CAST(l.source_size * 3 AS DOUBLE)
     ELSE least(l.weight * (SELECT level FROM levels WHERE place = first_free), CAST(l.source_size * 3 AS DOUBLE)) END AS target FROM levels l, free),
 rates AS (SELECT *, CASE WHEN source_size = 0 THEN 0.0 ELSE target / source_size END AS rate FROM targets),
-ranked AS (SELECT s.doc_id, s.source, s.size, r.source_size, r.target, s.doc_key, floor(rate) AS whole, rate - floor(rate) AS p, (rate - floor(rate)) * r.source_size AS missing,
+wanted AS (SELECT *, floor(rate) AS whole, (rate - floor(rate)) * source_size AS missing FROM rates),
+counts AS (SELECT s.source, s.size, count(*) AS n, CAST(ceil(sqrt(CAST(s.size AS DOUBLE))) AS HUGEINT) AS draw, w.missing FROM slim s JOIN wanted w ON s.source IS NOT DISTINCT FROM w.source WHERE s.size > 0 AND w.missing > 0 GROUP BY s.source, s.size, w.missing),
+scales AS (SELECT source, size, (missing - CAST(coalesce(sum(CAST(size * n AS HUGEINT)) OVER (PARTITION BY source ORDER BY size DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS DOUBLE)) / CAST(sum(draw * size * n) OVER (PARTITION BY source ORDER BY size ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS DOUBLE) AS scale, CAST(draw AS BIGINT) AS draw FROM counts),
+firsts AS (SELECT source, max(size) AS most, arg_max(scale, size) AS scale FROM scales WHERE scale * draw <= 1 GROUP BY source),
+odds AS (SELECT s.doc_id, s.source, s.size, w.source_size, w.target, s.doc_key, w.whole, w.missing,
+    CASE WHEN s.size <= 0 OR f.scale IS NULL THEN 0.0::DOUBLE WHEN s.size > f.most OR f.scale * CAST(ceil(sqrt(CAST(s.size AS DOUBLE))) AS BIGINT) >= 1 THEN 1.0::DOUBLE ELSE f.scale * CAST(ceil(sqrt(CAST(s.size AS DOUBLE))) AS BIGINT) END AS p,
     (CAST('0x' || substr(md5(coalesce(CAST(s.doc_id AS VARCHAR), '')), 1, 13) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496.0::DOUBLE AS u
-  FROM slim s JOIN rates r ON s.source IS NOT DISTINCT FROM r.source),
-cut AS (SELECT *, coalesce(CAST(sum(size) OVER (PARTITION BY source ORDER BY CASE WHEN p > 0 THEN (u / (1 - u)) / (p / (1 - p)) END, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT), 0) AS ahead FROM ranked),
-mixed AS (SELECT *, CAST(whole + CASE WHEN p > 0 AND ahead + size / 2 <= missing THEN 1 ELSE 0 END AS BIGINT) AS copies FROM cut)
+  FROM slim s JOIN wanted w ON s.source IS NOT DISTINCT FROM w.source LEFT JOIN firsts f ON s.source IS NOT DISTINCT FROM f.source),
+cut AS (SELECT *, CAST(coalesce(sum(CASE WHEN p > 0 THEN size END) OVER (PARTITION BY source ORDER BY CASE WHEN p = 1 THEN -1 WHEN p > 0 THEN (u / (1 - u)) / (p / (1 - p)) END NULLS LAST, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS ahead FROM odds),
+mixed AS (SELECT *, CAST(whole + CASE WHEN p = 1 OR (p > 0 AND ahead + size / 2 <= missing) THEN 1 ELSE 0 END AS BIGINT) AS copies FROM cut)
 """
 
 
