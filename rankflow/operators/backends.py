@@ -116,7 +116,7 @@ class CooBackend:
 class BlockBackend:
     """Large matrices in panels, thin ones (at most ``thin_cols`` columns, within the size limit) as arrays on the driver."""
 
-    def __init__(self, spark: SparkSession, dual: bool = True, grid: int = 2, thin_cols: int = 4096):
+    def __init__(self, spark: SparkSession, dual: bool = True, grid: int | None = 2, thin_cols: int = 4096):
         self.spark, self.dual, self.grid, self.thin_cols = spark, dual, grid, thin_cols
 
     def load(self, m: coo.Coo):

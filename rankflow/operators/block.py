@@ -1,8 +1,9 @@
 """Dense matrices in row panels, each a block of float64 in Arrow binary; and the same matrix in column panels if wanted.
 
 Thin operands within ``LIMIT_BYTES`` are sent to the panels, and matrix @ thin stays local to them: no shuffle. With column
-panels thin' products with the transpose are local too; without, panels give partial sums. Matrix @ matrix replicates row
-bands and column bands over a square grid of tasks.
+panels thin' products with the transpose are local too; without, panels give partial sums, added up on executors. Matrix @
+matrix works on square tiles of a bounded size: a task multiplies one tile of either side, and partial tiles are added a few at
+a time, so that no task holds more than a handful of tiles whatever the matrix's size.
 """
 
 from __future__ import annotations
@@ -18,6 +19,8 @@ from .coo import Coo, cut
 
 LIMIT_BYTES = 256 << 20
 PANEL_BYTES = 16 << 20
+TILE_BYTES = 32 << 20
+FAN = 4  # partial results that one task adds up
 SCHEMA = "p int, at long, n int, m int, data binary"
 
 
@@ -123,15 +126,23 @@ def tmul_thin(a: Block, x: np.ndarray) -> np.ndarray:
     cols = a.cols
 
     def run(batches):
-        total = None
+        total, first = None, 0
         for b in batches:
-            for _, at, n, m, d in _rows(b):
+            for p, at, n, m, d in _rows(b):
                 part = _matrix(n, m, d).T @ sent.value[at : at + n]
-                total = part if total is None else total + part
+                total, first = (part, p) if total is None else (total + part, first)
         if total is not None:
-            yield _batch([(0, 0, cols, total.shape[1], total.tobytes())])
+            yield _batch([(first, 0, cols, total.shape[1], total.tobytes())])
 
-    return _gathered(a.panels.mapInArrow(run, SCHEMA), a.cols, x.shape[1])
+    def added(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+        total = sum(_matrix(n, m, d) for n, m, d in zip(*(t.column(c).to_pylist() for c in ("n", "m", "data")), strict=True))
+        return pa.Table.from_batches([_batch([(key[0].as_py(), 0, total.shape[0], total.shape[1], total.tobytes())])])
+
+    parts, many = a.panels.mapInArrow(run, SCHEMA), a.panels.rdd.getNumPartitions()
+    while many > 4 * FAN:  # a tree of sums, so that the driver gets a few partial results only
+        many = -(-many // FAN)
+        parts = parts.withColumn("p", F.pmod("p", F.lit(many)).cast("int")).groupBy("p").applyInArrow(added, SCHEMA)
+    return _gathered(parts, a.cols, x.shape[1])
 
 
 def add_outer(a: Block, left: np.ndarray, right: np.ndarray) -> Block:
@@ -195,40 +206,57 @@ def identity(spark: SparkSession, n: int) -> Block:
     return Block(panels, n, n, panels)
 
 
-def matmul_grid(a: Block, b: Block, grid: int = 2, dual: bool = True) -> Block:
-    """a @ b over grid x grid tasks: a's row bands go to a row of tasks, b's column bands to a column of them."""
-    columns = b.columns if b.columns is not None else transpose(b).panels
-    rows, cols = a.rows, b.cols
-    # Band g of either side is what falls into the g-th part of its range; panels are cut where they cross a border.
-    bands_a, bands_b = -(-rows // grid), -(-cols // grid)
-
-    def split(panels: DataFrame, size: int, side: str) -> DataFrame:
-        def run(batches):
-            for x in batches:
-                out = []
-                for _, at, n, m, d in _rows(x):
-                    z = _matrix(n, m, d)
-                    for g in range(at // size, (at + n - 1) // size + 1):
-                        lo, hi = max(at, g * size), min(at + n, (g + 1) * size)
-                        out.append((g, lo, hi - lo, m, z[lo - at : hi - at].tobytes()))
-                yield _batch(out)
-
-        cut_up = panels.mapInArrow(run, SCHEMA)
-        other = F.explode(F.sequence(F.lit(0), F.lit(grid - 1)))
-        return cut_up.withColumn("_o", other).select((F.col("p") if side == "a" else F.col("_o")).alias("bi"), (F.col("_o") if side == "a" else F.col("p")).alias("bj"), F.lit(side).alias("side"), "at", "n", "m", "data")
+def _tiles(batches, tile: int):
+    """Row panels cut at the borders of the tiles: a's get (bi, bk), b's (bk, bj)."""
+    names, kinds = ["r", "c", "at", "n", "m", "data"], (pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
+    for x in batches:
+        for _, at, n, m, d in _rows(x):
+            z, out = _matrix(n, m, d), []
+            for r in range(at // tile, (at + n - 1) // tile + 1):
+                lo, hi = max(at, r * tile), min(at + n, (r + 1) * tile)
+                for c in range(-(-m // tile)):
+                    part = z[lo - at : hi - at, c * tile : (c + 1) * tile]
+                    out.append((r, c, lo - r * tile, hi - lo, part.shape[1], np.ascontiguousarray(part).tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names)
+
+
+def matmul_grid(a: Block, b: Block, grid: int | None = None, dual: bool = True) -> Block:
+    """a @ b over tiles: (bi, bk) of a meets (bk, bj) of b in one task, and the partial tiles are added over bk by a tree.
+
+    grid: tiles along the longest side; more are taken where a tile would pass ``TILE_BYTES``."""
+    rows, inner, cols = a.rows, a.cols, b.cols
+    tile = max(1, min(-(-max(rows, inner, cols) // (grid or 1)), int((TILE_BYTES / 8) ** 0.5)))
+    high, deep, wide = (-(-s // tile) for s in (rows, inner, cols))
+    cut_up = "r int, c int, at long, n int, m int, data binary"
+
+    def spread(panels: DataFrame, side: str, copies: int) -> DataFrame:
+        pieces = panels.mapInArrow(lambda batches: _tiles(batches, tile), cut_up)
+        other = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("o")
+        pieces = pieces.select("*", other)
+        bi, bj, bk = ("r", "o", "c") if side == "a" else ("o", "c", "r")
+        return pieces.select(F.col(bi).alias("bi"), F.col(bj).alias("bj"), F.col(bk).alias("bk"), F.lit(side).alias("side"), "at", "n", "m", "data")
 
     def product(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
-        bi, bj = key[0].as_py(), key[1].as_py()
+        bi, bj, bk = (k.as_py() for k in key)
         got = {"a": [], "b": []}
         for side, at, n, m, d in zip(*(t.column(c).to_pylist() for c in ("side", "at", "n", "m", "data")), strict=True):
             got[side].append((at, _matrix(n, m, d)))
         if not got["a"] or not got["b"]:
-            return pa.Table.from_batches([_batch([])])
+            return pa.Table.from_batches([_tile_batch([])])
         x, y = (np.vstack([z for _, z in sorted(got[s], key=lambda q: q[0])]) for s in "ab")
-        z = x @ y.T
-        return pa.Table.from_batches([_batch([(bi * 1_000_000 + bj, bi * bands_a, z.shape[0], z.shape[1], z.tobytes())])])
+        z = x @ y
+        return pa.Table.from_batches([_tile_batch([(bi, bj, bk, z.shape[0], z.shape[1], z.tobytes())])])
 
-    tiles = cut(split(a.panels, bands_a, "a").unionByName(split(columns, bands_b, "b")).groupBy("bi", "bj").applyInArrow(product, SCHEMA))
+    def added(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+        total = sum(_matrix(n, m, d) for n, m, d in zip(*(t.column(c).to_pylist() for c in ("n", "m", "data")), strict=True))
+        return pa.Table.from_batches([_tile_batch([(*(k.as_py() for k in key), total.shape[0], total.shape[1], total.tobytes())])])
+
+    partial = "bi int, bj int, bk int, n int, m int, data binary"
+    tiles = spread(a.panels, "a", wide).unionByName(spread(b.panels, "b", high)).groupBy("bi", "bj", "bk").applyInArrow(product, partial)
+    while deep > 1:
+        deep = -(-deep // FAN)
+        tiles = tiles.withColumn("bk", F.floor(F.col("bk") / FAN).cast("int")).groupBy("bi", "bj", "bk").applyInArrow(added, partial)
+    tiles = cut(tiles)
 
     def panels_of(turned: bool) -> DataFrame:
         n, m = (cols, rows) if turned else (rows, cols)
@@ -236,16 +264,14 @@ def matmul_grid(a: Block, b: Block, grid: int = 2, dual: bool = True) -> Block:
 
         def pieces(batches):
             for x in batches:
-                out = []
-                for p, _, tn, tm, d in _rows(x):
-                    bi, bj = divmod(p, 1_000_000)
-                    z, at, left = _matrix(tn, tm, d), bi * bands_a, bj * bands_b
+                for bi, bj, tn, tm, d in zip(*(x.column(c).to_pylist() for c in ("bi", "bj", "n", "m", "data")), strict=True):
+                    z, at, left, out = _matrix(tn, tm, d), bi * tile, bj * tile, []
                     if turned:
                         z, at, left = z.T, left, at
                     for q in range(at // size, (at + z.shape[0] - 1) // size + 1):
                         lo, hi = max(at, q * size), min(at + z.shape[0], (q + 1) * size)
                         out.append((q, (lo << 32) + left, hi - lo, z.shape[1], np.ascontiguousarray(z[lo - at : hi - at]).tobytes()))
-                yield _batch(out)
+                    yield _batch(out)
 
         def assemble(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
             q = key[0].as_py()
@@ -258,3 +284,8 @@ def matmul_grid(a: Block, b: Block, grid: int = 2, dual: bool = True) -> Block:
         return cut(tiles.mapInArrow(pieces, SCHEMA).groupBy("p").applyInArrow(assemble, SCHEMA))
 
     return Block(panels_of(False), rows, cols, panels_of(True) if dual else None)
+
+
+def _tile_batch(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [()] * 6, kinds, strict=True)], ["bi", "bj", "bk", "n", "m", "data"])

@@ -9,6 +9,8 @@ from . import coo
 from .coo import Coo
 from .models import View, general_program
 
+TALL = 1 << 50  # hashes of nodes are numbers under it
+
 
 def ols_program(m: int, n: int, p: int, ridge: float = 0.0) -> Program:
     """Z = X'X (+ ridge), W = inverse, C = X'Y kept as a view of its own, beta = W C."""
@@ -17,8 +19,8 @@ def ols_program(m: int, n: int, p: int, ridge: float = 0.0) -> Program:
     return Program({"X": (m, n), "Y": (m, p)}, (Stmt("Z", z + Scale(ridge, Ident(n)) if ridge else z), Stmt("W", Ref("Z").inv()), Stmt("C", x.T @ y), Stmt("beta", Ref("W") @ Ref("C"))), ("beta",), ("X", "Y"))
 
 
-def ols(backend, x: Coo, y: Coo, strategy: str = "incr", ridge: float = 0.0) -> View:
-    return View(backend, ols_program(x.rows, x.cols, y.cols, ridge), {"X": x, "Y": y}, strategy)
+def ols(backend, x: Coo, y: Coo, strategy: str = "incr", ridge: float = 0.0, **how) -> View:
+    return View(backend, ols_program(x.rows, x.cols, y.cols, ridge), {"X": x, "Y": y}, strategy, **how)
 
 
 def append(view: View, row: int, x: Coo, y: Coo) -> None:
@@ -54,6 +56,27 @@ def pagerank(backend, edges: Coo, k: int, damping: float = 0.85, strategy: str =
     return iterate(backend, coo.scale(damping, q), uniform((1 - damping) / n), uniform(1.0 / n), k, "lin", strategy)
 
 
+def pagerank_graph(backend, edges, k: int, damping: float = 0.85, strategy: str = "hybrid"):
+    """(node, rank) for links (src, dst) between nodes of any type. Nodes are numbered by a hash, so no sort of them is needed;
+    two nodes of one hash are an error. A node without links out keeps its mass to itself, as in ``pagerank``."""
+    from .models import iterate
+
+    edges = coo.cut(edges.select("src", "dst").filter("src is not null and dst is not null").distinct())
+    number = lambda c: F.pmod(F.xxhash64(c), F.lit(TALL))
+    nodes = coo.cut(edges.select(F.col("src").alias("node")).union(edges.select("dst")).distinct().withColumn("i", number("node")))
+    n, numbers = nodes.agg(F.count("*"), F.count_distinct("i")).first()
+    if n != numbers:
+        raise ValueError("two nodes have one hash")
+    out = edges.groupBy("src").agg(F.count("*").alias("d"))
+    links = edges.join(out, "src").select(number("dst").alias("i"), number("src").alias("j"), (F.lit(damping) / F.col("d")).alias("v"))
+    column = lambda v: Coo(nodes.select("i", F.lit(0).cast("long").alias("j"), F.lit(v).alias("v")), TALL, 1, n)
+    if not n:
+        return nodes.select("node", F.lit(0.0).alias("rank"))
+    a = Coo(coo.cut(links), TALL, TALL, edges.count())
+    view = iterate(backend, a, column((1 - damping) / n), column(1.0 / n), k, "lin", strategy)
+    return nodes.join(view.frame(), "i", "left").select("node", F.coalesce("v", F.lit(0.0)).alias("rank"))
+
+
 def markov(backend, q: Coo, k: int, strategy: str = "incr") -> View:
     from .models import powers
 

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.models import View
 from ..sources.updates import compact
@@ -70,3 +72,24 @@ def latest_rows(stream: DataFrame, delay: str = "1 day") -> DataFrame:
     """Replacing changes (matrix row i, column j, v, event_time): the newest by event time for each cell; duplicates by seq go."""
     fresh = stream.withWatermark("event_time", delay).dropDuplicatesWithinWatermark(["seq"])
     return fresh.groupBy("i", "j").agg(F.max_by("v", "event_time").alias("v"), F.max("event_time").alias("event_time"))
+
+
+def interval_join(left: DataFrame, right: DataFrame, key: str, time: str, within: str, delay: str = "1 day") -> DataFrame:
+    """Pairs of two streams with equal keys and the right one's time after the left one's by at most ``within``. Both sides have
+    watermarks, so state older than the interval and the delay goes. Columns of the right side end in ``_2``."""
+    a = left.withWatermark(time, delay)
+    b = right.select(*[F.col(c).alias(f"{c}_2") for c in right.columns]).withWatermark(f"{time}_2", delay)
+    return a.join(b, F.expr(f"{key} = {key}_2 AND {time}_2 > {time} AND {time}_2 <= {time} + INTERVAL {within}"))
+
+
+def transitions(stream: DataFrame, key: str, order: list[str], kind: str) -> DataFrame:
+    """(a, b): each row's kind and the next one's of the same key, with the last kind of each key as state. Rows of a micro-batch
+    are put in order; a row that comes in a later batch counts as later."""
+
+    def step(_, parts, state: GroupState):
+        rows = pd.concat(list(parts)).sort_values(order, kind="stable")
+        kinds = ([state.get[0]] if state.exists else []) + rows[kind].tolist()
+        state.update((kinds[-1],))
+        yield pd.DataFrame({"a": kinds[:-1], "b": kinds[1:]})
+
+    return stream.select(key, *order, kind).groupBy(key).applyInPandasWithState(step, "a string, b string", "last string", "append", GroupStateTimeout.NoTimeout)
