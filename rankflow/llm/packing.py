@@ -204,7 +204,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int, kee
     return docs.select("doc_id", "text").mapInArrow(tidy(run), f"doc_id {id_type}, piece int, start long, length long, ids_crc32 long")
 
 
-def pack(items: DataFrame, capacity: int, planner: Callable = plan, rows_per_rank: int = 20_000) -> DataFrame:
+def pack(items: DataFrame, capacity: int, planner: Callable = plan, rows_per_rank: int = 1_000) -> DataFrame:
     """items (with doc_id, piece, length) and sequence_id, offset. Lengths must be 1 to capacity."""
     items = cut(items)
     hist = {r[0]: r[1] for r in items.groupBy("length").count().collect()}  # capacity rows at most
