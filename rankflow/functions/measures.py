@@ -6,7 +6,7 @@ import time
 from collections.abc import Callable
 from statistics import mean, pstdev
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.coo import Coo
@@ -45,6 +45,22 @@ def communication(n: int, rank: int, steps: int) -> int:
     return sum(2 * 8 * n * rank * 2**s for s in range(steps))
 
 
+def moved(spark: SparkSession, f: Callable[[], object]) -> dict[str, int]:
+    """Bytes that the stages of f wrote to and read from shuffles, and sent to the driver, by Spark's status store."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+
+    def stages() -> dict[tuple[int, int], tuple[int, int, int]]:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+        got = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
+        each = [got.apply(k) for k in range(got.size())]
+        return {(s.stageId(), s.attemptId()): (s.shuffleWriteBytes(), s.shuffleReadBytes(), s.resultSize()) for s in each}
+
+    before = stages()
+    f()
+    new = [v for k, v in stages().items() if k not in before]
+    return dict(zip(("shuffle_written", "shuffle_read", "to_driver"), (sum(c) for c in zip(*new, strict=True)) if new else (0, 0, 0), strict=True))
+
+
 def difference(a: Coo, b: Coo) -> DataFrame:
     x, y = a.df.select("i", "j", F.col("v").alias("x")), b.df.select("i", "j", F.col("v").alias("y"))
     return x.join(y, ["i", "j"], "full_outer").select("i", "j", F.coalesce("x", F.lit(0.0)).alias("x"), F.coalesce("y", F.lit(0.0)).alias("y"))
