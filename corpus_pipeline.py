@@ -1,6 +1,9 @@
 """A training-data pipeline over documents: toxicity, exact dedup, near-dedup, mixing, packing (operators 7, 3, 6, 1, 9).
 
-Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and reread as the next one's docs.
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and reread as the next one's docs. All
+but the last return the columns of docs, whatever their names. Null and empty texts pass as documents without words; null ids and
+sources are values like others; of exact copies one row stays, of near copies the one with the smallest id; which of equal rows
+is taken at the last place of a mix is open; very long texts are worked on whole; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -10,7 +13,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from rankflow.llm import exact_dedup, mixing, near_dedup, packing, toxicity
-from rankflow.llm.common import read, shared_dir
+from rankflow.llm.common import read, remove, shared_dir
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,4 +55,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, stage in STAGES[:-1]:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
-    return STAGES[-1][1](spark, docs, sf_dir)
+    packed = STAGES[-1][1](spark, docs, sf_dir)  # its pieces are checkpointed, so the stages' tables are no longer read
+    remove(spark, folder)
+    return packed

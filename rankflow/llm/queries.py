@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import embedding_dedup, exact_dedup, language_id, licenses, mixing, near_dedup, packing, pii, token_output, toxicity
-from .common import read, shared_dir
+from .common import cut, read, remove, shared_dir
 
 
 def _tokenizer(name: str) -> str:
@@ -64,7 +64,9 @@ def op9_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_range_coded_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{shared_dir(spark)}/token-ids-{uuid.uuid4().hex}"
     token_output.write_tokens(read(spark, sf_dir, "documents"), path, _tokenizer("byte_bpe_50k.json"), vocab=50257, end_id=2, added_tokens=True)
-    return token_output.read_tokens(spark, path)
+    found = cut(token_output.read_tokens(spark, path))
+    remove(spark, path)
+    return found
 
 
 QUERIES = {f.__name__: f for f in (op1_pareto_mix, op2_pii_boosting, op3_grace_dedup, op4_license_digests, op5_string_kernel_language, op6_odd_sketch_dedup, op7_toxicity_trees, op8_projection_forest, op9_bin_completion, op10_range_coded_tokens)}
