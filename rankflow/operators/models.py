@@ -6,6 +6,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 
 from ..plans import cost
@@ -87,15 +88,16 @@ class RefreshReport:
 class View:
     """A program's views, preloaded. ``apply`` brings them up to date after a change of an input."""
 
-    def __init__(self, backend, program: Program, inputs: dict[str, Coo], strategy: str = "incr", merge: bool = True, stack: bool = True, chain: bool = False, aux: bool = False, lean: bool = False):
-        """aux: products inside statements become views of their own first. chain: see ``compile_program``. lean: a view that is
+    def __init__(self, backend, program: Program, inputs: dict[str, Coo], strategy: str = "incr", merge: bool = True, stack: bool = True, chain: bool = False, aux: bool = False, lean: bool = False, factor: bool = False):
+        """aux: products inside statements become views of their own first. chain, factor: see ``compile_program``. lean: a view that is
         re-evaluated holds only inputs and outputs between refreshes, since it needs no older step."""
         if strategy not in (*STRATEGIES, "auto"):
             raise ValueError(f"no strategy {strategy}")
         if strategy == "auto":
             strategy = cost.cheapest(program)
         program = choose_aux(program) if aux else program
-        self.backend, self.program, self.strategy, self.merge, self.stack, self.chain = backend, program, strategy, merge, stack, chain
+        self.backend, self.program, self.strategy, self.merge, self.stack, self.chain, self.factor = backend, program, strategy, merge, stack, chain, factor
+        self._triggers: dict = {}
         self.lean = lean and strategy == "reeval"
         self.fallbacks = 0  # refreshes that met a singular small system and computed the views anew
         given = {k: backend.load(v) for k, v in inputs.items()}
@@ -106,18 +108,20 @@ class View:
         self.version, self.ranks = 0, {}
 
     def apply(self, name: str | dict, left: Coo | None = None, right: Coo | None = None) -> RefreshReport:
-        """One input's change left @ right.T, or {input: (left, right)} for several at once."""
+        """One input's change left @ right.T, or {input: (left, right)} for several at once. Arrays are taken as the back end's thin
+        factors."""
         changes = name if isinstance(name, dict) else {name: (left, right)}
         began, b = time.perf_counter(), self.backend
-        ranks = {k: a.cols for k, (a, _) in changes.items()}
+        ranks = {k: a.shape[1] if isinstance(a, np.ndarray) else a.cols for k, (a, _) in changes.items()}
         for k in ranks:
             if k not in self.program.dynamic:
                 raise ValueError(f"{k} is static")
-        factors = {k: (b.thin(a), b.thin(c)) for k, (a, c) in changes.items()}
+        thin = lambda x: x if isinstance(x, np.ndarray) else b.thin(x)
+        factors = {k: (thin(a), thin(c)) for k, (a, c) in changes.items()}
         if self.strategy == "reeval":
             self._again(factors)
         else:
-            trigger = next(iter(compile_program(self.program, ranks, self.merge, self.stack, self.strategy == "dense_delta", together=True, chain=self.chain).values()))
+            trigger = self._trigger(ranks)
             try:
                 self.env = backends.run_trigger(b, trigger, self.env, factors)
                 self.ranks = trigger.ranks
@@ -127,6 +131,14 @@ class View:
         self.version += 1
         return RefreshReport(1000 * (time.perf_counter() - began), dict(self.ranks), self.view_bytes(), self.version)
 
+    def _trigger(self, ranks: dict[str, int]):
+        """Compiled once for each combination of inputs and ranks."""
+        key = tuple(sorted(ranks.items()))
+        if key not in self._triggers:
+            compiled = compile_program(self.program, ranks, self.merge, self.stack, self.strategy == "dense_delta", together=True, chain=self.chain, factor=self.factor)
+            self._triggers[key] = next(iter(compiled.values()))
+        return self._triggers[key]
+
     def _again(self, factors: dict[str, tuple]) -> None:
         """Re-evaluation: changed inputs, then every statement."""
         b, base = self.backend, {k: self.env[k] for k in self.program.inputs}
