@@ -162,7 +162,7 @@ def test_generators_propose_overlapping_spans_and_context_decides(spark):
     token = "9f8a7b6c5d4e3f2a1b0c9d8e7f6a5b4c3d2e1f0a"
     texts = [f'config token = "{token}" end', f"commit {token} fixed it", "IBAN DE89 3704 0044 0532 0130 00 please", "no DE88 3704 0044 0532 0130 00 please", "host fe80:0000:0000:0000:0202:b3ff:fe1e:8329 up",
              "device 00:1a:2b:3c:4d:5e seen", "she lives at 12 Baker Street now", "dear Mrs Jane Miller, hello", "write to jane (AT) corp (DOT) com", "jane @ corp.com please", "room 12 (555) 123-4567 and (555) 987-6543",
-             "order 2669109448945250 was sent", "call +1 (974) 555-3436 now", "version 10.20.300 and 2024-10-11", "token " * 400 + f'token = "{token}" ' * 700]
+             "order 2669109448945251 was sent", "call +1 (974) 555-3436 now", "version 10.20.300 and 2024-10-11", "token " * 400 + f'token = "{token}" ' * 700]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r.doc_id: [(s.kind, texts[r.doc_id][s.start : s.end]) for s in r.spans] for r in pii.redactions(df).collect()}
     assert got[0] == [("secret", token)] and got[1] == [] and got[11] == [] and got[13] == []

@@ -20,9 +20,9 @@ EXTRA = (1, 2.0, 3, 4, "a", "b", 5, "c", 6.0, 7, "d")
 def corpus():
     g = np.random.default_rng(11)
     rows, toxic = [], []
-    for k in range(160):
+    for k in range(480):
         words = [f"w{x}" for x in g.integers(0, 400, int(g.integers(8, 90)))]
-        bad = k % 8 == 0
+        bad = k % 6 == 0
         for _ in range(5 * bad):
             words.insert(int(g.integers(0, len(words))), str(g.choice(["idiot", "moron", "blarg"])))
         rows.append((k, " ".join(words), "en", ["a", "b", "c", None][k % 4]))
