@@ -54,10 +54,15 @@ class Coo:
     @property
     def df(self) -> DataFrame:
         """All cells, with the log added up."""
-        out = self.base
-        for left, right in self.log:
-            out = _sum(out, mul(left, transpose(right)).df)
-        return out
+        if not self.log:
+            return self.base
+        left, right = self.stacked
+        return _sum(self.base, mul(left, transpose(right)).df)
+
+    @property
+    def stacked(self) -> tuple[Coo, Coo]:
+        """The log as one pair of factors."""
+        return hstack([left for left, _ in self.log]), hstack([right for _, right in self.log])
 
     @property
     def rank(self) -> int:
@@ -86,7 +91,8 @@ def cut(df: DataFrame) -> DataFrame:
 def settle(m: Coo) -> Coo:
     """m computed: small ones become rows of the plan (their size is checked), large ones a checkpoint; a log stays a log."""
     if m.log:
-        return replace(m, log=tuple((settle(a), settle(b)) for a, b in m.log))
+        known = lambda x: x if x.cells is not None else settle(x)  # noqa: E731  # factors are settled once, when they come
+        return replace(m, log=tuple((known(a), known(b)) for a, b in m.log))
     if m.bytes <= LOCAL_BYTES:
         t = m.df.select("i", "j", "v").toArrow()
         spark = m.base.sparkSession
@@ -113,10 +119,8 @@ def _hint(m: Coo, df: DataFrame) -> DataFrame:
 def mul(a: Coo, b: Coo) -> Coo:
     """a @ b: join on the inner index, sum by cell. With a thin b a's log is read as it is."""
     if a.log and b.cols <= LOG_RANK:
-        out = mul(replace(a, log=()), b)
-        for left, right in a.log:
-            out = add(out, mul(left, mul(transpose(right), b)))
-        return out
+        left, right = a.stacked
+        return add(mul(replace(a, log=()), b), mul(left, mul(transpose(right), b)))
     if b.log and a.rows <= LOG_RANK:
         return transpose(mul(transpose(b), transpose(a)))
     x, y = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x")), b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
@@ -156,7 +160,8 @@ def hstack(parts: list[Coo]) -> Coo:
     for p in parts:
         q = p.df.withColumn("j", F.col("j") + at)
         df, at = q if df is None else df.unionByName(q), at + p.cols
-    return Coo(df, parts[0].rows, at)
+    known = all(p.cells is not None and not p.log for p in parts)
+    return Coo(df, parts[0].rows, at, sum(p.cells for p in parts) if known else None)
 
 
 def vstack(parts: list[Coo]) -> Coo:
@@ -205,12 +210,14 @@ def gram(a: Coo, b: Coo | None = None) -> Coo:
     if a.tall is not None and b.tall is not None and a.tall.df is b.tall.df and a.cols + b.cols <= TALL_COLS:
         out = _partial_products(a.tall, b.tall)
         x, y = replace(a, log=(), tall=None), replace(b, log=(), tall=None)
-        for u, v in a.log:
-            out = add(out, mul(v, mul(transpose(u), y)))
-        for u, v in b.log:
+        p, q = a.stacked if a.log else (None, None)
+        u, v = b.stacked if b.log else (None, None)
+        if a.log:
+            out = add(out, mul(q, mul(transpose(p), y)))
+        if b.log:
             out = add(out, mul(mul(transpose(x), u), transpose(v)))
-            for p, q in a.log:
-                out = add(out, mul(mul(q, mul(transpose(p), u)), transpose(v)))
+        if a.log and b.log:
+            out = add(out, mul(mul(q, mul(transpose(p), u)), transpose(v)))
         return out
     x, y = a.df.select(F.col("i").alias("k"), F.col("j").alias("i"), F.col("v").alias("x")), b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
     return Coo(x.join(y, "k").groupBy("i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("v")).filter("v <> 0"), a.cols, b.cols)
