@@ -6,7 +6,8 @@ go to both sides. Leaves hold about ``leaf`` vectors whatever the input's size,
 most ``leaf`` is one leaf of one tree. Rows are first placed by id alone, then meet their vectors, once for each leaf. A leaf
 over ``block`` vectors is compared block by block in as many tasks, so none is dropped. Within a leaf pairs are compared in
 double precision; a pair counts only in the first leaf that brings it together, and a leaf returns a row for each vector (how
-many it links with, and the least vector it reaches there), so nothing grows with the square of a group but the comparisons.
+many it links with, and the least vector it reaches there). Groups with many links are counted as matrices, so nothing grows with
+the square of a group but products and comparisons of whole matrices.
 
 Vectors that are null, zero, or hold null or non-finite components, and those with a null label or vec_id, link with nothing.
 Repeated rows are copies; different vectors of one vec_id are compared each, and its rows all get the sum and the least name.
@@ -74,16 +75,46 @@ def _unit(vectors: pa.ChunkedArray | pa.Array, rows: int) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
-def _least_reached(linked: np.ndarray, ids: np.ndarray) -> np.ndarray:
-    """The least id that each row reaches over a symmetric matrix of links."""
-    least = ids
+def _near(x: np.ndarray, threshold: float) -> np.ndarray:
+    """Which pairs of unit rows have cosine >= threshold in double precision, none with itself. Single precision decides the clear
+    ones; those within its error of the threshold are computed again."""
+    single, margin = x.astype(np.float32), 1e-6 * (8 + x.shape[1])
+    cosines = single @ single.T
+    near = cosines >= threshold - margin
+    u, w = np.nonzero(near & (cosines < threshold + margin))
+    for at in range(0, len(u), 1 << 16):
+        part = slice(at, at + (1 << 16))
+        near[u[part], w[part]] = np.einsum("ij,ij->i", x[u[part]], x[w[part]]) >= threshold
+    np.fill_diagonal(near, False)
+    return near & near.T
+
+
+def _least_reached(u: np.ndarray, w: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """The least id that each row reaches over the links (u, w), both ways."""
+    least = ids.copy()
     while True:
-        new = np.minimum(least, np.where(linked, least[None, :], np.iinfo(np.int64).max).min(axis=1, initial=np.iinfo(np.int64).max))
+        new = least.copy()
+        np.minimum.at(new, u, least[w])
+        np.minimum.at(new, w, least[u])
         if (new == least).all():
             return least
         least = new
 
 
+DENSE = 64  # links of a row from which its group is counted as a matrix
+
+
+def _group(near: np.ndarray, row: int) -> np.ndarray:
+    """The rows that row reaches, itself included."""
+    seen = np.zeros(len(near), bool)
+    seen[row] = True
+    edge = np.array([row])
+    while len(edge):
+        edge = np.flatnonzero(near[edge].any(axis=0) & ~seen)
+        seen[edge] = True
+    return np.flatnonzero(seen)
+
+
 def _met_before(earlier: pa.Array, u: np.ndarray, w: np.ndarray) -> np.ndarray:
     """Whether the rows u and w share a leaf of those listed in earlier, a list for each row."""
     size = earlier.value_lengths().to_numpy()
@@ -98,6 +129,35 @@ def _met_before(earlier: pa.Array, u: np.ndarray, w: np.ndarray) -> np.ndarray:
     return out
 
 
+def _met_in_group(earlier: pa.Array) -> np.ndarray:
+    """As _met_before for all pairs of rows: the product of the matrix of rows and listed leaves with itself."""
+    _, code = np.unique(earlier.flatten().to_numpy(), return_inverse=True)
+    in_leaf = np.zeros((len(earlier), int(code.max(initial=-1)) + 1), np.float32)
+    in_leaf[np.repeat(np.arange(len(earlier)), earlier.value_lengths().to_numpy()), code] = 1.0
+    return in_leaf @ in_leaf.T > 0
+
+
+def _counted(near: np.ndarray, earlier: pa.Array, copies: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(others, least) of each row: copies of the rows it links with here and in no earlier leaf, and the least id it reaches. Groups
+    with many links stay matrices, so that their pairs are neither listed nor held against each other's leaves one by one."""
+    others, least, sparse = np.zeros(len(ids), np.int64), ids.copy(), np.ones(len(ids), bool)
+    for row in np.flatnonzero(near.sum(axis=1) >= DENSE):
+        if not sparse[row]:
+            continue
+        rows = _group(near, row)
+        sparse[rows], least[rows] = False, ids[rows].min()
+        new = near[np.ix_(rows, rows)] & ~_met_in_group(earlier.take(pa.array(rows)))
+        for at in range(0, len(rows), 512):
+            others[rows[at : at + 512]] = (new[at : at + 512].astype(np.float64) @ copies[rows]).astype(np.int64)
+    rows = np.flatnonzero(sparse & near.any(axis=1))
+    u, w = (rows[k] for k in np.nonzero(np.triu(near[np.ix_(rows, rows)])))
+    least = _least_reached(u, w, least)
+    new = ~_met_before(earlier, u, w)
+    np.add.at(others, u[new], copies[w[new]])
+    np.add.at(others, w[new], copies[u[new]])
+    return others, least
+
+
 def links(vectors: DataFrame, threshold: float = 0.93, trees: int = 10, leaf: int = 512, spill: float = 0.022, block: int = 1536, seed: int = 7) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(classes, members, found): classes (id, name, label, dim, copies, v), members (vec_id, id), found (id, others, least): rows
     for a class, how many vectors it links with (to be summed), and the least id it reaches in that leaf."""
@@ -162,16 +222,14 @@ def links(vectors: DataFrame, threshold: float = 0.93, trees: int = 10, leaf: in
             return none
         ids, i, copies = (t.column(c).to_numpy() for c in ("id", "i", "copies"))
         x = _unit(t.column("v"), len(ids))
-        near = x @ x.T >= threshold
+        near = _near(x, threshold)
         if t.column("p")[0].as_py() != t.column("q")[0].as_py():
             near &= i[:, None] != i[None, :]
-        np.fill_diagonal(near, False)
-        near &= near.T
-        u, w = np.nonzero(np.triu(near))
-        new = ~_met_before(t.column("earlier").combine_chunks(), u, w)
-        others = np.bincount(u[new], copies[w[new]], len(ids)) + np.bincount(w[new], copies[u[new]], len(ids))
         some = near.any(axis=1)
-        return pa.table({"id": ids[some], "others": others[some].astype(np.int64), "least": _least_reached(near, ids)[some]}) if some.any() else none
+        if not some.any():
+            return none
+        others, least = _counted(near, t.column("earlier").combine_chunks(), copies, ids)
+        return pa.table({"id": ids[some], "others": others[some], "least": least[some]})
 
     found = cut(met.groupBy(*at, "p", "q").applyInArrow(compare, "id long, others long, least long"))
     return classes, members, found

@@ -256,3 +256,23 @@ def test_token_output_of_empty_table_and_ties(spark, tmp_path):
         got = token_output.read_tokens(spark, str(tmp_path / name)).orderBy("start").collect()
         assert [r.doc_id for r in got] == [d for d in sorted((r[0] for r in rows), key=lambda d: (d is not None, d or 0))]
         assert [r.start for r in got] == [0, *np.cumsum([r.n_tokens for r in got])[:-1]][: len(got)]
+
+
+def test_dense_groups_are_counted_as_matrices(monkeypatch):
+    """A leaf's links against brute force, and no pair of a dense group is listed (a group of 6,000 has 18 million)."""
+    g = np.random.default_rng(3)
+    x = np.concatenate((g.standard_normal(64) + 0.1 * g.standard_normal((300, 64)), np.repeat(g.standard_normal((40, 64)), 2, axis=0), g.standard_normal((60, 64))))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    n = len(x)
+    ids, copies = g.permutation(n) * 7, g.integers(1, 5, n)
+    lists = [sorted(g.choice(60, 9, replace=False).tolist()) if k % 3 else [] for k in range(n)]
+    listed, old = [], embedding_dedup._met_before
+    monkeypatch.setattr(embedding_dedup, "_met_before", lambda e, u, w: listed.append(len(u)) or old(e, u, w))
+    near = embedding_dedup._near(x, 0.93)
+    others, least = embedding_dedup._counted(near, pa.array(lists, pa.list_(pa.int64())), copies, ids)
+    want = x @ x.T >= 0.93
+    np.fill_diagonal(want, False)
+    assert (near == want).all() and want[:300, :300].sum() == 300 * 299
+    assert others.tolist() == [sum(int(copies[w]) for w in np.flatnonzero(want[u]) if not set(lists[u]) & set(lists[w])) for u in range(n)]
+    assert least.tolist() == [int(min(ids[:300])) if u < 300 else int(ids[want[u] | (np.arange(n) == u)].min()) for u in range(n)]
+    assert sum(listed) == 40
