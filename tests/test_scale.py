@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from rankflow import workload_queries
 from rankflow.engine import Engine
 from rankflow.operators import backends, block, coo, inverse, models, regression
 from rankflow.plans import compile as comp
@@ -218,3 +219,13 @@ def test_pagerank_of_a_graph_by_names(spark):
     for _ in range(6):
         rank = {n: 0.0375 + sum(0.85 * rank[s] / sum(1 for x in names if x[0] == s) for s, d in names if d == n) for n in "abcd"}
     assert got == pytest.approx(rank)
+
+
+def test_batches_in_turn_come_from_one_pass(spark):
+    """Every batch in order, rows of one batch added up, also where sequence numbers have gaps."""
+    rows = [(k * 3, k % 5, (k * 7) % 6, 1.0 + k % 2) for k in range(400)]
+    got = list(workload_queries._in_batches(spark.createDataFrame(rows, "seq long, i long, j long, v double"), 100, 6))
+    want = np.zeros((12, 6, 6))
+    for seq, i, j, v in rows:
+        want[seq // 100, i, j] += v
+    assert len(got) == 12 and all((left @ right.T == w).all() and left.shape[1] == 5 for (left, right), w in zip(got, want, strict=True))
