@@ -229,3 +229,20 @@ def test_batches_in_turn_come_from_one_pass(spark):
     for seq, i, j, v in rows:
         want[seq // 100, i, j] += v
     assert len(got) == 12 and all((left @ right.T == w).all() and left.shape[1] == 5 for (left, right), w in zip(got, want, strict=True))
+
+
+def test_single_updates_have_no_limit(spark):
+    """More than 100,000 updates one by one; cells of one update are added."""
+    n = 100_003
+    cells = spark.range(n).select(F.col("id").alias("seq"), (F.col("id") % 4).alias("i"), F.explode(F.expr("array(1L, 3L, 3L)")).alias("j"), (F.col("id") + 1.0).alias("v"))
+    k = 0
+    for k, (left, right) in enumerate(workload_queries._by_row_change(cells, 4), 1):
+        if k % 10_000 == 1 or k == n:
+            assert left[:, 0].tolist() == [float(r == (k - 1) % 4) for r in range(4)] and right[:, 0].tolist() == [0.0, k, 0.0, 2.0 * k]
+    assert k == n
+
+
+def test_equal_expressions_of_a_trigger_run_once():
+    steps, views = comp.compile_program(frontend.parse("dynamic A(4, 4)  B = A @ A  out C = B @ B"), {"A": 1})["A"].steps
+    done = [s[:3] for s in steps if s[0] != "settle"]
+    assert len(done) == len(set(done)) and set(views) == {"A", "B", "C"}
