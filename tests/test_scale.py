@@ -246,3 +246,17 @@ def test_equal_expressions_of_a_trigger_run_once():
     steps, views = comp.compile_program(frontend.parse("dynamic A(4, 4)  B = A @ A  out C = B @ B"), {"A": 1})["A"].steps
     done = [s[:3] for s in steps if s[0] != "settle"]
     assert len(done) == len(set(done)) and set(views) == {"A", "B", "C"}
+
+
+def test_a_heavy_product_works_on_tiles(spark, monkeypatch):
+    """Settled matrices of doubles with many products of cells; empty tiles and rows, and cells that cancel; scattered ones stay joins."""
+    monkeypatch.setattr(coo, "TILE", 4)
+    monkeypatch.setattr(coo, "PRODUCTS", 100)
+    g = np.random.default_rng(4)
+    x, y = g.integers(-3, 4, (21, 30)) * 1.0, g.integers(-3, 4, (30, 13)) * 1.0
+    x[:, 8:12], x[5], y[:, 4:8] = 0.0, 0.0, 0.0
+    a, b = coo.from_numpy(spark, x), coo.from_numpy(spark, y)
+    assert not coo._dense_enough(a, b)  # few products for each pair of tiles
+    monkeypatch.setattr(coo, "_dense_enough", lambda *_: True)
+    got = coo.mul(a, b)
+    assert (coo.to_numpy(got) == x @ y).all() and got.df.filter("v = 0").count() == 0
