@@ -260,3 +260,22 @@ def test_a_heavy_product_works_on_tiles(spark, monkeypatch):
     monkeypatch.setattr(coo, "_dense_enough", lambda *_: True)
     got = coo.mul(a, b)
     assert (coo.to_numpy(got) == x @ y).all() and got.df.filter("v = 0").count() == 0
+
+
+def test_powers_of_whole_numbers_are_exact(spark):
+    """Beyond 2^53 and 2^63, where doubles round and longs overflow; small results stay longs; broken numbers are an error."""
+    x = np.array([[123_456, 98_765, 0], [1, 0, 777_777], [54_321, 2, 3]])
+    exact = x.astype(object)
+    b = backends.IntegerBackend(spark)
+    rows = lambda df: sorted((r.i, r.j, int(r.v)) for r in df.collect())
+    cells = lambda m: sorted((i, j, v) for (i, j), v in np.ndenumerate(m) if v)
+    step = regression.power_iteration(b, coo.from_numpy(spark, x * 1.0), 4).frame()
+    got = workload_queries.whole(step)
+    assert rows(got) == cells(exact @ exact @ exact @ exact @ np.ones((3, 1), object)) and got.schema["v"].dataType.simpleString() == "decimal(38,0)"
+    view = models.powers(b, coo.from_numpy(spark, x * 1.0), 4, "exp", "incr")
+    view.apply_batch("A", coo.transpose(coo.from_numpy(spark, x * 1.0)).df)
+    full = exact + exact.T
+    assert rows(workload_queries.whole(view.frame())) == cells(full @ full @ full @ full)
+    assert workload_queries.whole(view.frame("A")).schema["v"].dataType.simpleString() == "bigint"
+    with pytest.raises(Exception, match="not a whole number"):
+        b.load(coo.from_numpy(spark, x + 0.5))
