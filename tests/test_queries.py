@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 
 from rankflow.operators import backends, coo, models
-from rankflow.sources import updates
+from rankflow.sources import fixtures, updates
 from rankflow.streaming import refresh
 from rankflow.streaming.store import ViewStore
 from rankflow.workload_queries import ORACLE_SQL, QUERIES
@@ -63,3 +63,12 @@ def test_streams_take_the_newest_value(spark, tmp_path):
     stream = spark.readStream.schema("seq long, i long, j long, v double, event_time timestamp").parquet(str(tmp_path / "in"))
     got = refresh.to_table(refresh.latest_rows(stream), str(tmp_path / "s"), "complete").collect()
     assert [(r.i, r.v) for r in got] == [(0, 9.0)]
+
+
+@pytest.mark.parametrize("name", ["choice_table"])
+def test_figures_come_from_a_table(spark, duck, sf, name, monkeypatch):
+    """Equal to SQL over the table, which Spark reads, so that other rows give other figures."""
+    read = []
+    monkeypatch.setattr(fixtures, "table", lambda s, d, t, f=fixtures.table: read.append(t) or f(s, d, t))
+    test_query_matches_sql(spark, duck, sf, name)
+    assert read and ORACLE_SQL[name].lower().count(read[0])
