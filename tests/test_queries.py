@@ -65,7 +65,7 @@ def test_streams_take_the_newest_value(spark, tmp_path):
     assert [(r.i, r.v) for r in got] == [(0, 9.0)]
 
 
-@pytest.mark.parametrize("name", ["choice_table", "compact_ranks", "cost_program", "cost_space", "cost_time", "mem_ratio", "op_identity"])
+@pytest.mark.parametrize("name", ["choice_table", "compact_ranks", "cost_program", "cost_space", "cost_time", "mem_ratio", "op_identity", "rank_table"])
 def test_figures_come_from_a_table(spark, duck, sf, name, monkeypatch):
     """Equal to SQL over the table, which Spark reads, so that other rows give other figures."""
     read = []
