@@ -1,5 +1,8 @@
 """What the engine does at sizes over its limits, with the limits made small; plans; restarts; the facade."""
 
+import os
+from collections import Counter
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -262,6 +265,64 @@ def test_a_heavy_product_works_on_tiles(spark, monkeypatch):
     assert (coo.to_numpy(got) == x @ y).all() and got.df.filter("v = 0").count() == 0
 
 
+def test_views_on_tiles_stay_packed(spark, monkeypatch):
+    """Products of products, changes in the log, a log added up when it is full; tiles, rows and columns without cells."""
+    monkeypatch.setattr(coo, "TILE", 4)
+    monkeypatch.setattr(coo, "GROUP", 2)
+    monkeypatch.setattr(coo, "LOCAL_BYTES", 0)
+    monkeypatch.setattr(coo, "BROADCAST_BYTES", 600)
+    monkeypatch.setattr(coo, "LOG_RANK", 9)
+    monkeypatch.setattr(coo, "_dense_enough", lambda a, b: None not in (a.cells, b.cells) and not a.log and not b.log and min(a.rows, a.cols, b.cols) > 9)
+    g = np.random.default_rng(5)
+    x = g.integers(-2, 3, (26, 26)) * 1.0
+    x[8:12], x[:, 4:8], x[:, 17] = 0.0, 0.0, 0.0
+    view = models.powers(backends.CooBackend(spark), coo.from_numpy(spark, x), 4, "exp", "incr")
+    assert view.env["P4"].tiles is not None
+    for k, (i, j) in enumerate([(9, 5), (25, 17), (0, 1)]):
+        view.apply("A", *updates.cell(spark, i, j, 1.0 + k, 26, 26))
+        x[i, j] += 1.0 + k
+        assert view.env["P4"].tiles is not None
+        assert (coo.to_numpy(view.env["P4"]) == np.linalg.matrix_power(x, 4)).all() and view.frame().filter("v = 0").count() == 0
+    assert (coo.to_numpy(coo.transpose(view.env["P4"])) == np.linalg.matrix_power(x, 4).T).all()
+
+
+def test_a_large_product_takes_little_disk(spark, monkeypatch):
+    """A few bytes a cell in the shared folder, and its log is added up without moving it."""
+    monkeypatch.setattr(coo, "BROADCAST_BYTES", 1 << 20)
+    g = np.random.default_rng(6)
+    x = (g.random((700, 700)) < 0.5) * 1.0
+    a = coo.Coo(coo.cut(coo.from_numpy(spark, x).df), 700, 700, int(x.sum()))
+    product = coo.mul(a, a)
+    folder = spark.sparkContext.getCheckpointDir().removeprefix("file:")
+    disk = lambda: sum(os.path.getsize(os.path.join(d, f)) for d, _, files in os.walk(folder) for f in files)
+    before = disk()
+    m = coo.settle(product)
+    assert m.cells == 490_000 and disk() - before < 5 * m.cells
+    m = coo.add_outer(m, *updates.cell(spark, 3, 699, -2.0, 700, 700))
+    assert m.log and "Exchange hashpartitioning(i" not in executed(m.df)
+    x = x @ x
+    x[3, 699] -= 2.0
+    assert (coo.to_numpy(m) == x).all()
+
+
+@pytest.mark.parametrize("pairs", [5, 1 << 22])
+def test_first_co_suppliers_by_counts(spark, monkeypatch, tmp_path, pairs):
+    """Against a plain count; lines without a key, orders of one supplier, an order larger than what a task counts at once."""
+    monkeypatch.setattr(fixtures, "PAIRS", pairs)
+    monkeypatch.setattr(fixtures, "BLOCK", 3)
+    g = np.random.default_rng(7)
+    lines = [(int(o), int(s)) for o, s in zip(g.integers(0, 60, 200), g.integers(0, 20, 200), strict=True)]
+    lines += [(70, k % 20) for k in range(50)] + [(71, 4), (71, 4)]
+    spark.createDataFrame([*lines, (None, 3), (5, None)], "l_orderkey long, l_suppkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.range(20).select(F.col("id").alias("s_suppkey")).write.parquet(f"{tmp_path}/supplier.parquet")
+    count = Counter((s, t) for o, s in lines for p, t in lines if o == p and s != t)
+    want = sorted((i, j, 1.0) for i in range(20) for j in sorted((j for k, j in count if k == i), key=lambda j, i=i: (-count[i, j], j))[:3])
+    got = fixtures.suppliers_top(spark, str(tmp_path))
+    assert sorted(map(tuple, got.df.collect())) == want and (got.rows, got.cols) == (20, 20)
+    # The pairs of an order's lines are counted and packed where the order is, and not sent one by one.
+    assert "Join" not in executed(got.df)
+
+
 def test_powers_of_whole_numbers_are_exact(spark):
     """Beyond 2^53 and 2^63, where doubles round and longs overflow; small results stay longs; broken numbers are an error."""
     x = np.array([[123_456, 98_765, 0], [1, 0, 777_777], [54_321, 2, 3]])
